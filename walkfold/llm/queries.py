@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkfold.llm import mixing, quality, suffix_tree, token_counts, warc
+from walkfold.llm import jaccard_join, mixing, quality, suffix_tree, token_counts, warc
 from walkfold.llm.common import table
 
 
@@ -14,6 +14,10 @@ def op2_suffix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_tree.score_documents(table(spark, sf_dir, "documents"))
 
 
+def op3_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.component_ids(table(spark, sf_dir, "documents"), k=3, percent=90)
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"))
 
@@ -31,8 +35,8 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {x.__name__: x for x in (op2_suffix_tree, op5_token_counts, op6_warc, op9_mix, op10_quality)}
+    return {x.__name__: x for x in (op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op9_mix, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_warc": warc.SQL, "op9_mix": mixing.SQL}
+    return {"op3_jaccard": jaccard_join.SQL, "op6_warc": warc.SQL, "op9_mix": mixing.SQL}
