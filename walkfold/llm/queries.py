@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkfold.llm import jaccard_join, mixing, quality, suffix_tree, token_counts, warc
+from walkfold.llm import decontaminate, jaccard_join, mixing, quality, suffix_tree, token_counts, warc
 from walkfold.llm.common import table
 
 
@@ -26,6 +26,10 @@ def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_round_trip(table(spark, sf_dir, "pages"))
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.hits(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_report(table(spark, sf_dir, "documents"))
 
@@ -35,8 +39,8 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {x.__name__: x for x in (op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op9_mix, op10_quality)}
+    return {x.__name__: x for x in (op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op8_decontaminate, op9_mix, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_jaccard": jaccard_join.SQL, "op6_warc": warc.SQL, "op9_mix": mixing.SQL}
+    return {"op3_jaccard": jaccard_join.SQL, "op6_warc": warc.SQL, "op8_decontaminate": decontaminate.SQL, "op9_mix": mixing.SQL}
