@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkfold.llm import decontaminate, jaccard_join, mixing, quality, suffix_tree, token_counts, warc
+from walkfold.llm import decontaminate, fingerprints, jaccard_join, mixing, quality, suffix_tree, token_counts, warc
 from walkfold.llm.common import table
 
 
+def op1_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprints.fingerprint_versions(table(spark, sf_dir, "documents"))
+
+
 def op2_suffix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_tree.score_documents(table(spark, sf_dir, "documents"))
 
@@ -39,7 +43,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {x.__name__: x for x in (op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op8_decontaminate, op9_mix, op10_quality)}
+    return {x.__name__: x for x in (op1_fingerprint, op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op8_decontaminate, op9_mix, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
