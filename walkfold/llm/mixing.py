@@ -50,7 +50,7 @@ def source_targets(sized: DataFrame, weights=(5, 2, 1), share=1.5, most=2.0) ->
     )
     per = per.withColumn("_level", level)
     fits = F.when(F.col("_level") <= F.col("_cap") / F.col("_w"), F.col("_level"))
-    per = per.withColumn("_at", F.min(fits).over(whole))
+    per = per.withColumn("_at", F.max(fits).over(whole))  # the levels fall after the first that fits
     target = F.round(F.least(F.col("_cap"), F.coalesce(F.col("_at") * F.col("_w"), F.col("_cap"))), 6)
     return per.select("_src", "source_size", target.alias("target"))
 
@@ -133,7 +133,7 @@ r AS (SELECT *, row_number() OVER (ORDER BY (src LIKE 'n%'), src) - 1 AS rk FROM
 w AS (SELECT *, ([5.0, 2.0, 1.0])[(rk % 3 + 1)::INT]::DOUBLE AS w, source_size * 2.0::DOUBLE AS cap FROM r),
 l AS (SELECT *, (sum(source_size) OVER () * 1.5::DOUBLE - coalesce(sum(cap) OVER b, 0.0)) / (sum(w) OVER () - coalesce(sum(w) OVER b, 0.0)) AS lev
       FROM w WINDOW b AS (ORDER BY cap / w, rk ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-t AS (SELECT src, source_size, round(least(cap, coalesce((min(CASE WHEN lev <= cap / w THEN lev END) OVER ()) * w, cap)), 6) AS target FROM l),
+t AS (SELECT src, source_size, round(least(cap, coalesce((max(CASE WHEN lev <= cap / w THEN lev END) OVER ()) * w, cap)), 6) AS target FROM l),
 e AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target)::BIGINT // source_size ELSE 0 END AS ep FROM t),
 f AS (SELECT *, floor(target)::BIGINT - ep * source_size AS rest FROM e),
 g AS (SELECT src, k, sum(size)::BIGINT AS grp FROM d GROUP BY src, k),

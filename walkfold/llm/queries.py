@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from walkfold.llm import decontaminate, fingerprints, jaccard_join, mixing, quality, suffix_tree, token_counts, warc
+from walkfold.llm import decontaminate, fingerprints, jaccard_join, mixing, preferences, quality, secrets, suffix_tree, token_counts, warc
 from walkfold.llm.common import table
 
 
@@ -22,6 +22,10 @@ def op3_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.component_ids(table(spark, sf_dir, "documents"), k=3, percent=90)
 
 
+def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(table(spark, sf_dir, "documents"))
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"))
 
@@ -30,6 +34,10 @@ def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_round_trip(table(spark, sf_dir, "pages"))
 
 
+def op7_preferences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return preferences.pair_neighbours(table(spark, sf_dir, "conversations"))
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.hits(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -42,9 +50,15 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {x.__name__: x for x in (op1_fingerprint, op2_suffix_tree, op3_jaccard, op5_token_counts, op6_warc, op8_decontaminate, op9_mix, op10_quality)}
+    return {x.__name__: x for x in (op1_fingerprint, op2_suffix_tree, op3_jaccard, op4_secrets, op5_token_counts, op6_warc, op7_preferences, op8_decontaminate, op9_mix, op10_quality, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_jaccard": jaccard_join.SQL, "op6_warc": warc.SQL, "op8_decontaminate": decontaminate.SQL, "op9_mix": mixing.SQL}
+    return {"op3_jaccard": jaccard_join.SQL, "op6_warc": warc.SQL, "op7_preferences": preferences.SQL, "op8_decontaminate": decontaminate.SQL, "op9_mix": mixing.SQL}
