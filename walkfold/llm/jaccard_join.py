@@ -33,6 +33,7 @@ from walkfold.llm.components import components
 
 GROUP = 64
 BLOCK = 20_000
+BITS = 1 << 25
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -181,6 +182,27 @@ def link_family(keys: np.ndarray, sets: list[np.ndarray], percent: int) -> list[
     return links
 
 
+def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
+    """doc_id and text of the rows whose id's bit is set by an id of ``reps``: few others, so few texts are moved.
+
+    The bit set has ``BITS`` bits, whatever the input: at most BITS / 64 rows reach the driver.
+    """
+    bit = F.pmod(F.xxhash64("doc_id"), F.lit(BITS))
+    rows = reps.select(F.shiftright(bit, 6).alias("w"), F.shiftleft(F.lit(1).cast("long"), bit.bitwiseAND(63).cast("int")).alias("b"))
+    held = rows.groupBy("w").agg(F.bit_or("b").alias("b")).toPandas()
+    table = np.zeros(BITS // 64, np.uint64)
+    table[held["w"].to_numpy(np.int64)] = held["b"].to_numpy(np.int64).view(np.uint64)
+    sent = docs.sparkSession.sparkContext.broadcast(table)
+
+    def run(batches):
+        for batch in batches:
+            at = batch.column(2).to_numpy()
+            good = (sent.value[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)
+            yield pa.RecordBatch.from_arrays(batch.columns[:2], ["doc_id", "text"]).filter(pa.array(good.astype(bool)))
+
+    return docs.where("doc_id IS NOT NULL").select("doc_id", "text", bit.alias("_bit")).mapInArrow(run, "doc_id long, text string")
+
+
 def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
     """a, b: keys of classes that link."""
     shared = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig"))
@@ -192,7 +214,8 @@ def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
     reps = found.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
     reps = family.join(reps, "key").select("doc_id", F.col("key").alias("_key"), F.col("root").alias("_root"), blocks.alias("_blocks"))
     mine = F.pmod(F.xxhash64("_key"), F.col("_blocks")).cast("int")
-    texts = docs.select("doc_id", "text").join(cut(reps, "jaccard-classes"), "doc_id")
+    reps = cut(reps, "jaccard-classes")
+    texts = _maybe(docs, reps).join(reps, "doc_id")
     texts = texts.withColumn("_b", mine).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
     texts = texts.select("_root", F.least("_b", "_o").alias("_b1"), F.greatest("_b", "_o").alias("_b2"), "_key", "text")
 
