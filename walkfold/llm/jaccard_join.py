@@ -188,7 +188,7 @@ def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
     The bit set has ``BITS`` bits, whatever the input: at most BITS / 64 rows reach the driver.
     """
     bit = F.pmod(F.xxhash64("doc_id"), F.lit(BITS))
-    rows = reps.select(F.shiftright(bit, 6).alias("w"), F.shiftleft(F.lit(1).cast("long"), bit.bitwiseAND(63).cast("int")).alias("b"))
+    rows = reps.select(F.shiftright(bit, 6).alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), bit.bitwiseAND(63).cast("int")).alias("b"))
     held = rows.groupBy("w").agg(F.bit_or("b").alias("b")).toPandas()
     table = np.zeros(BITS // 64, np.uint64)
     table[held["w"].to_numpy(np.int64)] = held["b"].to_numpy(np.int64).view(np.uint64)
