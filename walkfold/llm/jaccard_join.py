@@ -3,13 +3,14 @@
 1. Each document's shingles become a set of 64-bit hashes; equal sets are one class.
 2. Partition into groups of similar documents. Two sets that link differ in at most
    (1-t)/t times the smaller set's size many shingles. Each class deals its shingles into one segment more than
-   that: two linked sets agree on a whole segment. Classes that agree on any segment's hash are in one
-   family; every link lies inside a family.
+   that: two linked sets agree on a whole segment. Of classes that agree on a segment's hash, those stay
+   candidates of each other whose parity sketches allow it: the sketches of two sets differ in at most as many bits as
+   the sets differ in shingles. Candidates make families; every link lies inside a family.
 3. In a family, classes are ordered by how many of their shingles no other has, and cut into groups.
    A row of the matrix is a group's union of shingles. The shingles that a query has in a group's union bound its
    overlap with any member; only groups whose bound reaches what a link needs are opened, and none whose
    members are already known to be in the query's component. Opened members are compared exactly.
-   A family of over ``BLOCK`` classes is worked on in pairs of blocks.
+   A family of over ``BLOCK`` shingles is worked on in pairs of blocks.
 4. Links (enough to connect each component) give components; a class passes its to its documents.
 
 Defined cases: a null or blank text has no shingles, no links, and is its own component; a text of fewer words
@@ -32,7 +33,8 @@ from walkfold.llm.common import cut
 from walkfold.llm.components import components
 
 GROUP = 64
-BLOCK = 20_000
+BLOCK = 3_000_000
+BUCKET = 20_000
 BITS = 1 << 25
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -92,19 +94,24 @@ def signatures(h: np.ndarray, t: float) -> np.ndarray:
     return np.concatenate(out).view(np.int64)
 
 
+def sketch(h: np.ndarray) -> bytes:
+    """For each of 1,024 bits, whether an odd number of shingles fall on it."""
+    return np.packbits(np.bincount((_mix(h) & np.uint64(1023)).astype(np.int64), minlength=1024).astype(np.uint8) & 1).tobytes()
+
+
 def _key(h: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(h.tobytes()) - (1 << 63)
 
 
 def classes(docs: DataFrame, k: int, t: float) -> DataFrame:
-    """doc_id, key (of the class), n_shingles, sigs (null where the partition has had that class before)."""
+    """doc_id, key (of the class), n_shingles; sigs and sketch, null where the partition has had that class before."""
 
     def run(batches):
         cache, seen = _Hashes(), set()
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
                 part = batch.slice(at, 1000)
-                keys, sizes, sigs = [], [], []
+                keys, sizes, sigs, bits = [], [], [], []
                 for text in part.column(1).cast(pa.binary()):
                     h = shingles(text.as_py(), k, cache)
                     key = _key(h)
@@ -112,14 +119,16 @@ def classes(docs: DataFrame, k: int, t: float) -> DataFrame:
                     sizes.append(len(h))
                     if key in seen or not len(h):
                         sigs.append(None)
+                        bits.append(None)
                     else:
                         if len(seen) > 1_000_000:
                             seen.clear()
                         seen.add(key)
                         sigs.append(signatures(h, t))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int64()))], ["doc_id", "key", "n_shingles", "sigs"])
+                        bits.append(sketch(h))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int64())), pa.array(bits, pa.binary())], ["doc_id", "key", "n_shingles", "sigs", "sketch"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, key long, n_shingles long, sigs array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, key long, n_shingles long, sigs array<long>, sketch binary")
 
 
 def needed(a: np.ndarray, b, percent: int) -> np.ndarray:
@@ -182,6 +191,79 @@ def link_family(keys: np.ndarray, sets: list[np.ndarray], percent: int) -> list[
     return links
 
 
+def near(n: np.ndarray, bits: np.ndarray, i: int, others: np.ndarray, percent: int) -> np.ndarray:
+    """Which of ``others`` may link with row i, by their sketches."""
+    differ = np.bitwise_count(bits[others] ^ bits[i]).sum(1, dtype=np.int64)
+    return others[differ * (100 + percent) <= (100 - percent) * (n[others] + n[i])]
+
+
+def cluster(n: np.ndarray, bits: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Pairs of rows that connect all that may link. A row is compared with rows that no cluster has yet."""
+    left, out = np.arange(len(n)), []
+    while len(left):
+        wave, left = [int(left[0])], left[1:]
+        while wave and len(left):
+            i = wave.pop()
+            found = near(n, bits, i, left, percent)
+            if len(found):
+                left = np.setdiff1d(left, found, assume_unique=True)
+                wave += found.tolist()
+                out += [(i, int(j)) for j in found]
+    return out
+
+
+def _candidates(found: DataFrame, percent: int) -> DataFrame:
+    """a, b: classes that agree on a segment and may link by their sketches; enough pairs to connect them.
+
+    A segment's classes are dealt into pairs of parts when they are over ``BUCKET``.
+    """
+    rows = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig"))
+    whole = W.partitionBy("sig")
+    shared = rows.select("sig", "key", F.min("key").over(whole).alias("_a"), F.max("key").over(whole).alias("_z")).where("_a != _z").select("sig", "key").distinct()
+    shared = cut(shared, "jaccard-shared")
+    hot = shared.groupBy("sig").agg(F.count(F.lit(1)).alias("_c")).where(F.col("_c") > BUCKET).select("sig", F.ceil(F.col("_c") / BUCKET).cast("int").alias("_parts"))
+    hot = cut(hot, "jaccard-hot")
+    about = found.where("sketch IS NOT NULL").groupBy("key").agg(F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
+    rows = shared.join(about, "key").join(hot, "sig", "left").withColumn("_parts", F.coalesce("_parts", F.lit(1)))
+    part = F.pmod(F.xxhash64("key"), F.col("_parts")).cast("int")
+    other = F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))
+    rows = rows.withColumn("_p", part).withColumn("_o", other).select("sig", F.least("_p", "_o").alias("_p1"), F.greatest("_p", "_o").alias("_p2"), "key", "n", "sketch")
+    rows = rows.repartition("sig", "_p1", "_p2").sortWithinPartitions("sig", "_p1", "_p2", "key")
+
+    def run(batches):
+        seen: set[tuple[int, int]] = set()
+        held: pa.Table | None = None
+
+        def work(table: pa.Table, bounds: np.ndarray):
+            key, n = table["key"].to_numpy(), table["n"].to_numpy()
+            bits = np.frombuffer(b"".join(table["sketch"].to_pylist()), np.uint64).reshape(len(key), 16)
+            pairs = []
+            at, size = bounds[:-1], np.diff(bounds)
+            two = at[size == 2]
+            differ = np.bitwise_count(bits[two] ^ bits[two + 1]).sum(1, dtype=np.int64)
+            good = two[differ * (100 + percent) <= (100 - percent) * (n[two] + n[two + 1])]
+            pairs += zip(key[good].tolist(), key[good + 1].tolist(), strict=True)
+            for b, k in zip(at[size > 2].tolist(), size[size > 2].tolist(), strict=True):
+                pairs += [(int(key[b + i]), int(key[b + j])) for i, j in cluster(n[b : b + k], bits[b : b + k], percent)]
+            fresh = [p for p in dict.fromkeys(pairs) if p not in seen]
+            if len(seen) < 500_000:
+                seen.update(fresh)
+            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in fresh], pa.int64()), pa.array([p[1] for p in fresh], pa.int64())], ["a", "b"])
+
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            held = table if held is None else pa.concat_tables([held, table])
+            names = [held[c].to_numpy() for c in ("sig", "_p1", "_p2")]
+            new = np.flatnonzero(np.logical_or.reduce([x[1:] != x[:-1] for x in names])) + 1
+            if len(new):  # all groups but the last are whole
+                yield work(held.slice(0, new[-1]), np.concatenate([[0], new]))
+                held = held.slice(new[-1])
+        if held is not None and held.num_rows:
+            yield work(held, np.array([0, held.num_rows]))
+
+    return rows.mapInArrow(run, "a long, b long").distinct()
+
+
 def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
     """doc_id and text of the rows whose id's bit is set by an id of ``reps``: few others, so few texts are moved.
 
@@ -205,14 +287,12 @@ def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
 
 def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
     """a, b: keys of classes that link."""
-    shared = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig"))
-    lead = F.min("key").over(W.partitionBy("sig"))
-    family = components(shared.select("key", lead.alias("lead")).where("key != lead"), "key", "lead")
-    family = family.withColumnRenamed("node", "key")
-    family = family.join(family.groupBy("root").agg(F.count(F.lit(1)).alias("_n")), "root")
-    blocks = F.ceil(F.col("_n") / BLOCK).cast("int")
+    family = components(cut(_candidates(found, percent), "jaccard-near"), "a", "b").withColumnRenamed("node", "key")
+    sizes = found.where("n_shingles > 0").groupBy("key").agg(F.first("n_shingles").alias("_n"))
+    family = family.join(sizes, "key")
+    family = family.join(family.groupBy("root").agg(F.ceil(F.sum("_n") / BLOCK).cast("int").alias("_blocks")), "root")
     reps = found.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
-    reps = family.join(reps, "key").select("doc_id", F.col("key").alias("_key"), F.col("root").alias("_root"), blocks.alias("_blocks"))
+    reps = family.join(reps, "key").select("doc_id", F.col("key").alias("_key"), F.col("root").alias("_root"), "_blocks")
     mine = F.pmod(F.xxhash64("_key"), F.col("_blocks")).cast("int")
     reps = cut(reps, "jaccard-classes")
     texts = _maybe(docs, reps).join(reps, "doc_id")
