@@ -157,12 +157,12 @@ def edited(text: str, following: str) -> str:
     return text[: len(text) - n] + following[:n]
 
 
-def _ranges(docs: DataFrame, parts: int) -> list:
-    """The least doc_id of each range of ids, about ``parts`` even ranges; at most ``parts`` + 1 values."""
+def _ranges(docs: DataFrame, parts: int) -> tuple[list[int], list]:
+    """Cuts between ranges of ids, and the least doc_id of each range (null: it holds a null); about ``parts`` even ranges; at most ``parts`` + 1 values."""
     probabilities = [i / parts for i in range(1, parts)]
     ids = docs.select("doc_id")
     cuts = sorted(set(ids.approxQuantile("doc_id", probabilities, 0.2 / parts))) if probabilities else []
-    found = ids.withColumn("_range", _range_of([int(x) for x in cuts])).groupBy("_range").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")).orderBy("_range").collect()
+    found = ids.withColumn("_range", _range_of([int(x) for x in cuts])).groupBy("_range").agg(F.min(F.struct("doc_id")).alias("least")).orderBy("_range").collect()
     return [int(x) for x in cuts], found
 
 
@@ -189,11 +189,9 @@ def fingerprint_versions(docs: DataFrame, parts: int | None = None) -> DataFrame
     dealt = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("_range", _range_of(cuts))
     if numbers:
         before = F.create_map(*[F.lit(x) for pair in zip(numbers, [numbers[-1], *numbers[:-1]], strict=True) for x in pair])
-        firsts = {r["_range"]: r["least"] for r in ranges}
+        firsts = {r["_range"]: r["least"]["doc_id"] for r in ranges}
         # rows that share a range's least id are all sent: which of them is first is found where they meet
         is_first = F.col("doc_id").eqNullSafe(F.element_at(F.create_map(*[F.lit(x).cast("long") if k % 2 else F.lit(x) for pair in firsts.items() for k, x in enumerate(pair)]), F.col("_range")))
-        if any(v is None for v in firsts.values()):
-            is_first = is_first | F.col("doc_id").isNull()
         copies = F.when(is_first, F.array(F.struct(F.col("_range").alias("to"), F.lit(False).alias("ahead")), F.struct(F.element_at(before, F.col("_range")).alias("to"), F.lit(True).alias("ahead")))).otherwise(
             F.array(F.struct(F.col("_range").alias("to"), F.lit(False).alias("ahead")))
         )

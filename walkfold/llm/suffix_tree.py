@@ -11,6 +11,8 @@ probability of the string is a probability of the sequence of words and its end.
    gain over ``GAIN`` per log of all symbols), or if a deeper retained context ends with it.
 4. A retained context's distribution is smoothed towards its parent's, down to the root and the uniform one.
 5. Each symbol is scored by the state of the longest retained suffix of what precedes it.
+6. A text's score is the mean of two probabilities, the tree's and the unigram base's: on a small corpus the
+   tree knows few contexts, and the mean is never far below the better one. ``tree_score`` is the tree's own.
 
 The unigram base needs each word's count over the whole training set. The vocabulary grows
 with the corpus, so it is joined to per-block postings and never broadcast.
@@ -37,10 +39,11 @@ from walkfold.llm.common import cut
 
 DEPTH = 6
 LEAST_SHARE = 1e-5
-GAIN = 1.0
+GAIN = 0.25
 STRENGTH = 2.0
 END = 10  # the line end: no word holds it
 CHUNK = 1 << 20
+LOG2 = float(np.log10(2.0))
 
 
 def held_out(doc_id: int | None, folds: int = 10) -> bool:
@@ -248,10 +251,10 @@ def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
 
     def total(table: pa.Table) -> pa.Table:
         found, (base, known) = postings.add_up(table, lambda t: [t["log_p"].to_numpy(), t["known"].to_numpy()])
-        return pa.table({"doc_id": found["doc_id"], "held_out": found["held_out"], "n_tokens": found["size"], "n_known": pa.array(known.round().astype(np.int64)), "base_score": pa.array(base), "score": found["score"]})
+        return pa.table({"doc_id": found["doc_id"], "held_out": found["held_out"], "n_tokens": found["size"], "n_known": pa.array(known.round().astype(np.int64)), "base_score": pa.array(base), "tree_score": found["score"], "score": pa.array(np.logaddexp2(base / LOG2, found["score"].to_numpy() / LOG2) * LOG2 - LOG2)})
 
-    out = terms.unionByName(docs_of).groupBy("block").applyInArrow(total, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
-    return out.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n_all).cast("long").alias("train_tokens"), "base_score", "score")
+    out = terms.unionByName(docs_of).groupBy("block").applyInArrow(total, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, tree_score double, score double")
+    return out.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n_all).cast("long").alias("train_tokens"), "base_score", "score", "tree_score")
 
 
 _DOC = {"doc_id": "long", "idx": "int", "size": "long", "held_out": "boolean", "score": "double"}
