@@ -72,31 +72,56 @@ def _space(n: int, t: float) -> int:
     return int(floor(log(n) / -log(t) + 1e-9))
 
 
-def _segments(space: int, t: float) -> int:
-    top = t ** -(space + 1)
-    return int(floor((1 - t) / t * (top + 1) + 1e-9)) + 1
+def _segments(space: int, t: float) -> tuple[int, int]:
+    """How many segments a space has, and how many of them two linked sets agree on at least.
+
+    A twentieth more than needed: a set of few empty segments then agrees with its partner on one that is not empty.
+    """
+    most = int(floor((1 - t) / t * (t ** -(space + 1) + 1) + 1e-9))
+    spare = 1 + ceil(most / 20)
+    return most + spare, spare
 
 
 def signatures(h: np.ndarray, t: float) -> np.ndarray:
-    """Hashes of the set's segments in the spaces of its size and of the next smaller sizes."""
+    """Hashes of the set's segments in the spaces of its size and of the next smaller sizes.
+
+    Empty segments count only for a set that has as many as linked sets must agree on: only two
+    such sets may agree on empty segments alone.
+    """
     if len(h) * (1 - t) < t - 1e-9 and len(h) * (1 - t) / t < 1 - 1e-9:  # no other set is near enough
         return np.zeros(0, np.int64)
     mixed, out = _mix(h + np.uint64(77)), []
+    content = _mix(h + np.uint64(1234567))
     here = _space(len(h), t)
     for space in (here, here - 1):
         if space < 0:
             continue
-        m = _segments(space, t)
+        m, spare = _segments(space, t)
         seg = (mixed % np.uint64(m)).astype(np.int64)
         sums = np.zeros(m, np.uint64)
-        np.add.at(sums, seg, _mix(h + np.uint64(1234567)))
-        out.append(_mix(sums + np.uint64(space * 1_000_003) + _mix(np.arange(m, dtype=np.uint64))))
+        np.add.at(sums, seg, content)
+        full = np.bincount(seg, minlength=m) > 0
+        use = np.flatnonzero(full) if m - full.sum() < spare else np.arange(m)
+        out.append(_mix(sums[use] + np.uint64(space * 1_000_003) + _mix(use.astype(np.uint64))))
     return np.concatenate(out).view(np.int64)
 
 
 def sketch(h: np.ndarray) -> bytes:
-    """For each of 1,024 bits, whether an odd number of shingles fall on it."""
-    return np.packbits(np.bincount((_mix(h) & np.uint64(1023)).astype(np.int64), minlength=1024).astype(np.uint8) & 1).tobytes()
+    """For each of 1,024 bits or more (by the set's size), whether an odd number of shingles fall on it."""
+    bits = 1024
+    while bits < 2 * len(h) and bits < 1 << 17:
+        bits *= 2
+    at = (_mix(h) & np.uint64(bits - 1)).astype(np.int64)
+    return np.packbits(np.bincount(at, minlength=bits).astype(np.uint8) & 1).tobytes()
+
+
+def folded(sketches: list[bytes], width: int) -> np.ndarray:
+    """Rows of ``width`` bytes: longer sketches are folded, which keeps parities."""
+    out = np.zeros((len(sketches), width), np.uint8)
+    for i, b in enumerate(sketches):
+        row = np.frombuffer(b, np.uint8)
+        out[i] = row if len(row) == width else np.bitwise_xor.reduce(row.reshape(-1, width), axis=0)
+    return out.view(np.uint64)
 
 
 def _key(h: np.ndarray) -> int:
@@ -219,8 +244,12 @@ def _candidates(found: DataFrame, percent: int) -> DataFrame:
     """
     rows = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig"))
     whole = W.partitionBy("sig")
-    shared = rows.select("sig", "key", F.min("key").over(whole).alias("_a"), F.max("key").over(whole).alias("_z")).where("_a != _z").select("sig", "key").distinct()
+    stated = {"_a": F.min("key"), "_z": F.max("key"), "_x": F.bit_xor(F.xxhash64("key")), "_c": F.count(F.lit(1))}
+    shared = rows.select("sig", "key", *[x.over(whole).alias(k) for k, x in stated.items()]).where("_a != _z")
     shared = cut(shared, "jaccard-shared")
+    # near copies agree on many segments: of segments with the same classes one is enough
+    one = cut(shared.groupBy(*stated).agg(F.min("sig").alias("sig")).select("sig"), "jaccard-segments")
+    shared = cut(shared.join(one, "sig", "left_semi").select("sig", "key").distinct(), "jaccard-shared")
     hot = shared.groupBy("sig").agg(F.count(F.lit(1)).alias("_c")).where(F.col("_c") > BUCKET).select("sig", F.ceil(F.col("_c") / BUCKET).cast("int").alias("_parts"))
     hot = cut(hot, "jaccard-hot")
     about = found.where("sketch IS NOT NULL").groupBy("key").agg(F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
@@ -236,15 +265,18 @@ def _candidates(found: DataFrame, percent: int) -> DataFrame:
 
         def work(table: pa.Table, bounds: np.ndarray):
             key, n = table["key"].to_numpy(), table["n"].to_numpy()
-            bits = np.frombuffer(b"".join(table["sketch"].to_pylist()), np.uint64).reshape(len(key), 16)
-            pairs = []
+            sketches, pairs = table["sketch"].to_pylist(), []
+            bits = folded(sketches, 128)
             at, size = bounds[:-1], np.diff(bounds)
-            two = at[size == 2]
+            width = np.minimum.reduceat(np.array([len(x) for x in sketches]), at)
+            two = at[(size == 2) & (width == 128)]
             differ = np.bitwise_count(bits[two] ^ bits[two + 1]).sum(1, dtype=np.int64)
             good = two[differ * (100 + percent) <= (100 - percent) * (n[two] + n[two + 1])]
             pairs += zip(key[good].tolist(), key[good + 1].tolist(), strict=True)
-            for b, k in zip(at[size > 2].tolist(), size[size > 2].tolist(), strict=True):
-                pairs += [(int(key[b + i]), int(key[b + j])) for i, j in cluster(n[b : b + k], bits[b : b + k], percent)]
+            rest = np.flatnonzero((size > 2) | (width > 128))
+            for b, k, w in zip(at[rest].tolist(), size[rest].tolist(), width[rest].tolist(), strict=True):
+                own = bits[b : b + k] if w == 128 else folded(sketches[b : b + k], w)
+                pairs += [(int(key[b + i]), int(key[b + j])) for i, j in cluster(n[b : b + k], own, percent)]
             fresh = [p for p in dict.fromkeys(pairs) if p not in seen]
             if len(seen) < 500_000:
                 seen.update(fresh)
