@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from contextlib import contextmanager
+
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -12,10 +14,24 @@ def ensure_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/walkfold-checkpoints")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """An eager reliable checkpoint; it keeps the partitioning, so later joins on the same key do not shuffle."""
+@contextmanager
+def static_plans(spark: SparkSession):
+    """Plans made inside are not adapted at run time: only then does a checkpoint know how it is partitioned."""
+    was = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        yield
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", was)
+
+
+def cut(df: DataFrame, keep_partitioning: bool = False) -> DataFrame:
+    """An eager reliable checkpoint. With ``keep_partitioning`` later joins on the same key do not shuffle it."""
     ensure_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    if not keep_partitioning:
+        return df.checkpoint(eager=True)
+    with static_plans(df.sparkSession):
+        return df.checkpoint(eager=True)
 
 
 def drop(df: DataFrame | None) -> None:

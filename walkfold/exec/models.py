@@ -1,8 +1,8 @@
 """The iteration models: each superstep is one DataFrame plan over edges and state.
 
-State rows are (id, one or more columns for each part of the tuple, changed); vertices that no path reaches
-have no row. Edges are dealt by source once and kept; what moves in a step is the frontier and
-partially aggregated messages.
+State rows are (id, one or more columns for each part of the tuple, changed), one for every vertex; a vertex that no path
+reaches has none. State is dealt by id and edges by source once, and both stay where they are: what moves in a
+step is the frontier (changed rows) and partially aggregated messages.
 """
 
 from __future__ import annotations
@@ -58,12 +58,12 @@ def start_columns(parts: tuple[Part, ...]) -> list[Column]:
 
 
 def initial(vertices: DataFrame, parts: tuple[Part, ...]) -> DataFrame:
-    names = [n for i, p in enumerate(parts) for n in p.names(i)]
-    rows = vertices
-    if all(p.source is not None for p in parts):
-        rows = rows.where(F.col("id").isin([p.source for p in parts]))
-    rows = rows.select("id", *start_columns(parts))
-    return rows.where(reduce(lambda a, b: a | b, (F.col(n).isNotNull() for n in names)))
+    """Every vertex with the values of its path without edges."""
+    return vertices.select("id", *start_columns(parts))
+
+
+def known(names: list[str]) -> Column:
+    return reduce(lambda a, b: a | b, (F.col(n).isNotNull() for n in names))
 
 
 def _message(parts: tuple[Part, ...]) -> list[Column]:
@@ -160,15 +160,24 @@ class Loop:
         return self.e_count
 
     def first(self) -> DataFrame:
-        self.base = initial(self.graph.vertices, self.parts)
-        return cut(self.base.withColumn("changed", F.lit(True)))
+        start = initial(self.graph.vertices, self.parts)
+        self.base = start.where(known(self.names))
+        return self.hold(start.withColumn("changed", known(self.names)))
+
+    def hold(self, state: DataFrame) -> DataFrame:
+        """The state dealt by id."""
+        return cut(state.repartition("id"), keep_partitioning=True)
+
+    def result(self, state: DataFrame) -> DataFrame:
+        """The vertices that have a value."""
+        return state.where(known(self.names)).select("id", *self.names)
 
     def run_step(self, plan, state: DataFrame, model: str) -> tuple[DataFrame, int]:
         """``plan(observe)`` gives the new state; observations count its messages and changes in the same job."""
         at = time.perf_counter()
         sent, got = Observation(), Observation()
         out = plan(lambda m: m.observe(sent, F.count(F.lit(1)).alias("n")))
-        out = cut(out.observe(got, F.count_if("changed").alias("n")))
+        out = cut(out.observe(got, F.count_if("changed").alias("n")), keep_partitioning=True)
         drop(state)
         changed = observed(got)
         self.done += 1
@@ -176,11 +185,13 @@ class Loop:
         return out, changed
 
     def merge(self, state: DataFrame, news: DataFrame, keep_old: bool) -> DataFrame:
-        """The new state: R(old, new), or the new value alone where ``keep_old`` is false."""
-        old, new = state.drop("changed").alias("o"), news.alias("m")
-        joined = old.join(new, F.col("o.id") == F.col("m.dst"), "full_outer" if keep_old else "right_outer")
-        values = [c for i, p in enumerate(self.parts) for c in (combine(p, i, "o", "m") if keep_old else [F.col(f"m.{n}").alias(n) for n in p.names(i)])]
-        rows = joined.select(F.coalesce("o.id", "m.dst").alias("id"), *values, *[F.col(f"o.{n}").alias(f"_o_{n}") for n in self.names])
+        """The new state: R(old, new), or the new value alone where ``keep_old`` is false and there is a row of news."""
+        joined = state.drop("changed").alias("o").join(news.withColumn("_hit", F.lit(True)).alias("m"), F.col("o.id") == F.col("m.dst"), "left")
+        if keep_old:
+            values = [c for i, p in enumerate(self.parts) for c in combine(p, i, "o", "m")]
+        else:
+            values = [F.when(F.col("m._hit"), F.col(f"m.{n}")).otherwise(F.col(f"o.{n}")).alias(n) for n in self.names]
+        rows = joined.select(F.col("o.id").alias("id"), *values, *[F.col(f"o.{n}").alias(f"_o_{n}") for n in self.names])
         return rows.withColumn("changed", _differs(self.names, "o")).drop(*[f"_o_{n}" for n in self.names])
 
 
@@ -215,9 +226,7 @@ def pull_step(loop: Loop, state: DataFrame, keep_old: bool, base: str):
             start = loop.base.join(targets, loop.base["id"] == targets["dst"], "left_semi")
             sent = sent.unionByName(start.withColumnRenamed("id", "dst"))
         news = targets.join(reduce_messages(sent, loop.parts, loop.bounds), "dst", "left")
-        fresh = loop.merge(state, news, keep_old=False)
-        kept = state.join(targets, F.col("id") == F.col("dst"), "left_anti").withColumn("changed", F.lit(False))
-        return fresh.unionByName(kept)
+        return loop.merge(state, news, keep_old=False)
 
     return plan
 
@@ -236,7 +245,7 @@ def push_idem(graph, parts, metrics=None, max_iter=None, direction: str = "push"
         edges = loop.metrics.steps[-1]["edges"]
         if max_iter is not None and loop.done >= max_iter:
             break
-    return state.drop("changed")
+    return loop.result(state)
 
 
 def pull_idem(graph, parts, metrics=None, max_iter=None) -> DataFrame:
@@ -253,7 +262,7 @@ def pull_nonidem(graph, parts, metrics=None, max_iter=None, base: str = "init")
         if loop.done > loop.limit() + 1:
             raise RuntimeError(f"no fixed point after {loop.done} steps")
         state, changed = loop.run_step(pull_step(loop, state, False, base), state, "pull")
-    return state.drop("changed")
+    return loop.result(state)
 
 
 def push_nonidem(graph, parts, metrics=None, max_iter=None, base: str = "init") -> DataFrame:
@@ -267,15 +276,15 @@ def push_nonidem(graph, parts, metrics=None, max_iter=None, base: str = "init")
             raise RuntimeError(f"no fixed point after {loop.done} steps")
 
         def plan(observe, state=state):
-            sent = observe(state.drop("changed").join(loop.edges, F.col("id") == F.col("src"))).select("dst", *_message(loop.parts))
+            sent = observe(state.where(known(loop.names)).drop("changed").join(loop.edges, F.col("id") == F.col("src"))).select("dst", *_message(loop.parts))
             if base == "init":
                 sent = sent.unionByName(loop.base.withColumnRenamed("id", "dst"))
-            news = reduce_messages(sent, loop.parts, loop.bounds)
-            gone = state.select(F.col("id").alias("dst")).join(news.select("dst"), "dst", "left_anti")
-            return loop.merge(state, news.unionByName(gone, allowMissingColumns=True), keep_old=False).where(reduce(lambda a, b: a | b, (F.col(n).isNotNull() for n in loop.names)) | F.col("changed"))
+            every = loop.graph.vertices.select(F.col("id").alias("dst"))
+            news = every.join(reduce_messages(sent, loop.parts, loop.bounds), "dst", "left")
+            return loop.merge(state, news, keep_old=False)
 
         state, changed = loop.run_step(plan, state, "push")
-    return state.drop("changed").where(F.col(loop.names[0]).isNotNull())
+    return loop.result(state)
 
 
 def push_rollback(graph, parts, metrics=None, max_iter=None) -> DataFrame:
@@ -284,7 +293,7 @@ def push_rollback(graph, parts, metrics=None, max_iter=None) -> DataFrame:
         raise ValueError("push_rollback: only a sum can be rolled back; a minimum or maximum has no inverse")
     loop = Loop(graph, parts, metrics, max_iter)
     start = loop.first()
-    state, changed = cut(start.select("*", *[F.lit(None).cast(start.schema[n].dataType).alias(f"p_{n}") for n in loop.names])), 1
+    state, changed = loop.hold(start.select("*", *[F.lit(None).cast(start.schema[n].dataType).alias(f"p_{n}") for n in loop.names])), 1
     while changed:
         if loop.done > loop.limit() + 1:
             raise RuntimeError(f"no fixed point after {loop.done} steps")
@@ -293,13 +302,13 @@ def push_rollback(graph, parts, metrics=None, max_iter=None) -> DataFrame:
             changes = [(F.col(n) - F.coalesce(F.col(f"p_{n}"), F.lit(0))).cast("decimal(38,0)").alias(n) for n in loop.names]
             sent = observe(state.where("changed").select("id", *changes).join(loop.edges, F.col("id") == F.col("src"))).select("dst", *_message(loop.parts))
             news = reduce_messages(sent, loop.parts)
-            joined = state.drop("changed").alias("o").join(news.alias("m"), F.col("o.id") == F.col("m.dst"), "full_outer")
+            joined = state.drop("changed").alias("o").join(news.alias("m"), F.col("o.id") == F.col("m.dst"), "left")
             both = [F.coalesce(F.col(f"o.{n}") + F.col(f"m.{n}"), F.col(f"o.{n}"), F.col(f"m.{n}")).cast("decimal(38,0)").alias(n) for n in loop.names]
-            rows = joined.select(F.coalesce("o.id", "m.dst").alias("id"), *both, *[F.col(f"o.{n}").alias(f"p_{n}") for n in loop.names])
+            rows = joined.select(F.col("o.id").alias("id"), *both, *[F.col(f"o.{n}").alias(f"p_{n}") for n in loop.names])
             return rows.withColumn("changed", reduce(lambda a, b: a | b, (~F.col(n).eqNullSafe(F.col(f"p_{n}")) for n in loop.names)))
 
         state, changed = loop.run_step(plan, state, "rollback")
-    return state.select("id", *loop.names)
+    return loop.result(state)
 
 
 def async_block(graph, parts, metrics=None, local_rounds: int = 4, blocks: int = 8, max_iter=None) -> DataFrame:
@@ -356,13 +365,13 @@ def async_block(graph, parts, metrics=None, local_rounds: int = 4, blocks: int =
     while changed:
 
         def plan(observe, state=state):
-            mine = state.withColumn("_b", F.pmod(F.xxhash64("id"), F.lit(blocks)))
+            mine = state.where(known(loop.names)).withColumn("_b", F.pmod(F.xxhash64("id"), F.lit(blocks)))
             sent = mine.groupBy("_b").cogroup(edges.groupBy("_b")).applyInArrow(relax, "dst long, s0_0 long, edges long")
             sent = observe(sent)
             return loop.merge(state, reduce_messages(sent.drop("edges"), loop.parts), keep_old=True)
 
         state, changed = loop.run_step(plan, state, "async")
-    return state.drop("changed")
+    return loop.result(state)
 
 
 def fixed_point(graph, kernels: Kernels, model: str = "pull", iters: int = 20, tol: float | None = None, metrics=None, dangling: str = "drop") -> DataFrame:
@@ -375,7 +384,7 @@ def fixed_point(graph, kernels: Kernels, model: str = "pull", iters: int = 20, t
     edges = graph.prepared_with_degrees()
     env = {"order": F.lit(float(order)), "outdeg": F.col("outdeg"), "src": F.col("src"), "dst": F.col("dst")}
     start = to_column(kernels.init, env | {"id": F.col("id")}).cast("double")
-    state = cut(graph.vertices.select("id", start.alias("n"), F.lit(0.0).alias("acc"), F.lit(0.0).alias("was"), F.lit(True).alias("changed")))
+    state = cut(graph.vertices.select("id", start.alias("n"), F.lit(0.0).alias("acc"), F.lit(0.0).alias("was"), F.lit(True).alias("changed")).repartition("id"), keep_partitioning=True)
     final = to_column(kernels.epilogue, env | {"n": F.col("acc")})
     for _ in range(iters):
         at = time.perf_counter()
@@ -394,7 +403,7 @@ def fixed_point(graph, kernels: Kernels, model: str = "pull", iters: int = 20, t
             joined = joined.crossJoin(F.broadcast(lost))  # one row
             acc = acc + F.col("lost") / order
         step = joined.select("id", F.col("n").alias("was"), acc.alias("acc")).select("id", final.alias("n"), "acc", "was").withColumn("changed", F.col("n") != F.col("was"))
-        new = cut(step.observe(got, F.count_if("changed").alias("n"), F.max(F.abs(F.col("n") - F.col("was"))).alias("delta")))
+        new = cut(step.observe(got, F.count_if("changed").alias("n"), F.max(F.abs(F.col("n") - F.col("was"))).alias("delta")), keep_partitioning=True)
         drop(state)
         state = new
         metrics.add(observed(sent), observed(got), time.perf_counter() - at, model)

@@ -45,6 +45,8 @@ def expression(t: Term, env: dict[str, Column]) -> Column:
 def reduction(r: str, value: Column) -> Column:
     if r == "union":
         return F.array_sort(F.collect_set(value))
+    if r == "intersect":  # of the vertices' own singletons
+        return F.when(F.min(value) == F.max(value), F.array(F.min(value))).otherwise(F.array().cast("array<bigint>"))
     return {"min": F.min, "max": F.max, "sum": F.sum, "or": F.bool_or, "and": F.bool_and}[r](value)
 
 

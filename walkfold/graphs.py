@@ -41,7 +41,7 @@ class Graph:
             lacking = set(columns) - set(self.edges.columns)
             if lacking:
                 raise ValueError(f"the edges of {self.name} have no {', '.join(sorted(lacking))}")
-            self._prepared[columns] = cut(self.edges.select("src", "dst", *columns).repartition("src"))
+            self._prepared[columns] = cut(self.edges.select("src", "dst", *columns).repartition("src"), keep_partitioning=True)
         return self._prepared[columns]
 
     def prepared_with_degrees(self) -> DataFrame:
@@ -50,7 +50,7 @@ class Graph:
             self._held_vertices()
             edges = self.edges.select("src", "dst").repartition("src")
             degree = edges.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg"))
-            self._prepared[key] = cut(edges.join(degree, "src"))
+            self._prepared[key] = cut(edges.join(degree, "src"), keep_partitioning=True)
         return self._prepared[key]
 
     def order(self) -> int:

@@ -33,20 +33,23 @@ class Maintained:
         graph = Graph(new)
         admit(graph, (self.part,), "push")
         loop = models.Loop(graph, (self.part,))
-        start = models.initial(graph.vertices, (self.part,)).withColumn("changed", F.lit(True))
-        if self.state is None:
-            state = cut(start)
-        else:
+        start = models.initial(graph.vertices, (self.part,))
+        if self.state is not None:
             touched = batch.select(F.col("src").alias("id")).distinct().withColumn("_t", F.lit(True))
-            known = self.state.join(touched, "id", "left").select("id", *loop.names, F.coalesce("_t", F.lit(False)).alias("changed"))
-            state = cut(known.unionByName(start.join(self.state, "id", "left_anti")))
+            had = self.state.select("id", *[F.col(n).alias(f"_h_{n}") for n in loop.names])
+            start = start.join(had, "id", "left").join(touched, "id", "left")
+            fresh = models.known(loop.names) & models.known([f"_h_{n}" for n in loop.names]).eqNullSafe(F.lit(False))
+            values = [F.coalesce(f"_h_{n}", n).alias(n) for n in loop.names]
+            state = loop.hold(start.select("id", *values, (fresh | F.coalesce("_t", F.lit(False))).alias("changed")))
+        else:
+            state = loop.hold(start.withColumn("changed", models.known(loop.names)))
         changed = state.where("changed").limit(1).count()
         while changed:
             state, changed = loop.run_step(models.push_step(loop, state), state, "push")
         self.edges_processed += loop.metrics.edges_processed
         drop(self.edges)
         drop(self.state)
-        self.edges, self.state = new, state.drop("changed")
+        self.edges, self.state = new, loop.result(state)
 
     def delete(self, gone: DataFrame) -> None:
         """Remove edges (src, dst) and compute anew: values may rest on what went."""
