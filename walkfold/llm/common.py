@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,3 +50,24 @@ def count_words(text: Column) -> Column:
 def input_partitions(spark: SparkSession) -> int:
     """The number of shuffle partitions in force."""
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def trim() -> None:
+    """Give freed memory back to the system: idle Python workers stay beside the executor's own heap."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps what it has
+        pass
+
+
+def tidy(run):
+    """A function of Arrow batches that trims when its partition ends."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            trim()
+
+    return wrapped

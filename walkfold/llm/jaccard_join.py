@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkfold.llm.common import cut
+from walkfold.llm.common import cut, tidy, trim
 from walkfold.llm.components import components
 
 GROUP = 64
@@ -153,7 +153,7 @@ def classes(docs: DataFrame, k: int, t: float) -> DataFrame:
                         bits.append(sketch(h))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int64())), pa.array(bits, pa.binary())], ["doc_id", "key", "n_shingles", "sigs", "sketch"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, key long, n_shingles long, sigs array<long>, sketch binary")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, key long, n_shingles long, sigs array<long>, sketch binary")
 
 
 def needed(a: np.ndarray, b, percent: int) -> np.ndarray:
@@ -293,7 +293,7 @@ def _candidates(found: DataFrame, percent: int) -> DataFrame:
         if held is not None and held.num_rows:
             yield work(held, np.array([0, held.num_rows]))
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
@@ -314,7 +314,7 @@ def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
             good = (sent.value[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["doc_id", "text"]).filter(pa.array(good.astype(bool)))
 
-    return docs.where("doc_id IS NOT NULL").select("doc_id", "text", bit.alias("_bit")).mapInArrow(run, "doc_id long, text string")
+    return docs.where("doc_id IS NOT NULL").select("doc_id", "text", bit.alias("_bit")).mapInArrow(tidy(run), "doc_id long, text string")
 
 
 def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
@@ -339,6 +339,9 @@ def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
                 if _key(h) == key:  # another row with this doc_id has another text
                     held[key] = h
         out = link_family(np.array(list(held), np.int64), list(held.values()), percent) if len(held) > 1 else []
+        if table.nbytes > 8 << 20:
+            held.clear()
+            trim()
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
     return texts.groupBy("_root", "_b1", "_b2").applyInArrow(run, "a long, b long")

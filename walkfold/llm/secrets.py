@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from walkfold.llm.common import tidy
+
 MOST_FINDINGS = 6_000
 REDACTED = "[SECRET]"
 _NAMED = re.compile(r"(?i)(?:api[_-]?key|access[_-]?key|auth|bearer|credential|passw(?:or)?d|pwd|secret|token)\w{0,20}[\"']?\s{0,3}(?::=|=>|[:=])\s{0,3}[\"']?([^\s\"',;<>]{6,})")
@@ -238,7 +240,7 @@ def scan(docs: DataFrame, path: str = "source", forest: Forest | None = None, th
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(x) for x in rows], pa.int64()), pa.array([sum(y["secret"] for y in x) for x in rows], pa.int64()), pa.array(rows, _FOUND_ARROW)], ["doc_id", "n_candidates", "n_secrets", "findings"])
 
     where = F.col(path).cast("string") if path in docs.columns else F.lit(None).cast("string")
-    return docs.select("doc_id", "text", where.alias("_path")).mapInArrow(run, f"doc_id long, n_candidates long, n_secrets long, findings {_FOUND}")
+    return docs.select("doc_id", "text", where.alias("_path")).mapInArrow(tidy(run), f"doc_id long, n_candidates long, n_secrets long, findings {_FOUND}")
 
 
 def redact(docs: DataFrame, path: str = "source", forest: Forest | None = None, threshold: float = 0.5, mark: str = REDACTED) -> DataFrame:
@@ -266,4 +268,4 @@ def redact(docs: DataFrame, path: str = "source", forest: Forest | None = None,
                     part = pa.RecordBatch.from_arrays(columns, schema=part.schema)
                 yield part
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

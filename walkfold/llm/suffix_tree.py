@@ -35,7 +35,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from walkfold.llm import postings
-from walkfold.llm.common import cut
+from walkfold.llm.common import cut, tidy
 
 DEPTH = 6
 LEAST_SHARE = 1e-5
@@ -198,7 +198,7 @@ def gather(docs: DataFrame, depth: int = DEPTH, folds: int = 10) -> DataFrame:
         for at in range(0, len(codes), 200_000):
             yield pa.RecordBatch.from_arrays([pa.array(codes[at : at + 200_000].view(np.int64)), pa.array(n[at : at + 200_000])], ["code", "n"])
 
-    return docs.select("doc_id", "text").mapInArrow(count, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
+    return docs.select("doc_id", "text").mapInArrow(tidy(count), "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
 
 
 def candidates(codes: DataFrame, depth: int = DEPTH, least_share: float = LEAST_SHARE) -> tuple[np.ndarray, int]:
@@ -239,7 +239,7 @@ def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
                     yield from block.flush()
         yield from block.flush()
 
-    rows = cut(docs.select("doc_id", "text").mapInArrow(run, postings.SCHEMA), "lm-postings")
+    rows = cut(docs.select("doc_id", "text").mapInArrow(tidy(run), postings.SCHEMA), "lm-postings")
     vocabulary = rows.where("term IS NOT NULL").groupBy("term").agg(F.sum("trained").alias("c"))
     vocabulary = cut(vocabulary, "lm-words")
     seen = vocabulary.agg(F.sum("c").alias("n"), F.count_if(F.col("c") > 0).alias("v")).first()

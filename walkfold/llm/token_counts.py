@@ -23,6 +23,8 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
+from walkfold.llm.common import tidy
+
 BLOCK_TERMS = 1_000_000
 MOST_TERMS = 1_000_000
 
@@ -125,4 +127,4 @@ def count_tokens(docs: DataFrame, tokenizer: str | None = None, limit: int = 102
         if block.docs:
             yield rows()
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
