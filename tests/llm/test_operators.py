@@ -100,6 +100,23 @@ def test_scores_of_odd_rows(odd, empty):
     assert suffix_tree.score_documents(empty).count() == 0
 
 
+def test_contexts_enter_the_tree_whatever_their_share(small, monkeypatch):
+    """The dealt tree against the whole one in memory, of every context; a rare one that diverges is in it."""
+    docs = texts(small)
+    learnt = [suffix_tree.words((t or "").encode()) for i, t in docs if not suffix_tree.held_out(i)]
+    codes, n = suffix_tree.count_codes(suffix_tree.chunks(iter(learnt)))
+    rows = []
+    for d in range(suffix_tree.DEPTH + 1):
+        pair, of = np.unique(codes & np.uint64((1 << (8 * (d + 1))) - 1), return_inverse=True)
+        rows.append(np.rec.fromarrays([np.full(len(pair), d), pair.astype(np.int64), np.bincount(of, weights=n).astype(np.int64)], names="depth,code,count"))
+    tree = suffix_tree.SuffixTree(np.concatenate(rows), int(n.sum()))
+    want = dict(zip((i for i, _ in docs), tree.score([suffix_tree.words((t or "").encode()) for _, t in docs]), strict=True))
+    for piece in (1 << 24, 1 << 14):
+        monkeypatch.setattr(suffix_tree, "PIECE", piece, raising=False)
+        got = {r.doc_id: r.tree_score for r in suffix_tree.score_documents(small).collect()}
+        assert got == pytest.approx(want, rel=1e-4)
+
+
 # -- jaccard join --------------------------------------------------------------------------------------------------
 
 
