@@ -45,6 +45,17 @@ def test_sketch_differences_are_recovered_after_retries():
         assert only_a == set(x.tolist()) - set(y.tolist()) and only_b == set(y.tolist()) - set(x.tolist())
 
 
+def test_long_texts_without_sentence_marks_keep_their_likeness():
+    draw = np.random.default_rng(2)
+    plain = " ".join("".join(chr(97 + c) for c in draw.integers(0, 26, 6)) for _ in range(300))
+    unspaced = "".join(chr(0x4E00 + c) for c in draw.integers(0, 3000, 1500))
+    for text in (plain, unspaced, "word " * 400, "the same line\n" * 40):
+        a, b = (fingerprints.digests(x) for x in (text, fingerprints.edited(text, unspaced[::-1])))
+        assert len(a) > 10 and fingerprints.likeness([a], [b])[0] > 0.4
+    shifted = fingerprints.digests("Put before it " + plain)
+    assert fingerprints.likeness([fingerprints.digests(plain)], [shifted])[0] > 0.8
+
+
 # -- suffix tree ---------------------------------------------------------------------------------------------------
 
 

@@ -1,8 +1,9 @@
 r"""Document fingerprints: invertible Bloom lookup sketches of paragraph digests.
 
 A text is cut into paragraphs (lines); a paragraph of over ``LONG`` characters is cut after its sentence ends, so
-that a one-line text has several. Each distinct digest goes into one cell of each of three
-sub-tables; a cell holds a count, the digests' sum by xor and a check's sum by xor. Subtracting two texts' cells
+that a one-line text has several, and what is still longer is cut where its characters say so (a hash of the last
+``WINDOW`` of them), so that texts without sentence marks have several too. The repeats of a paragraph are numbered, each
+with a digest of its own. Each digest goes into one cell of each of three sub-tables; a cell holds a count, the digests' sum by xor and a check's sum by xor. Subtracting two texts' cells
 leaves only what differs, and peeling cells that hold one digest recovers it. Where peeling stalls, both
 texts are sketched anew with twice the cells.
 
@@ -32,9 +33,12 @@ from walkfold.llm.common import input_partitions, tidy
 CELLS = 12
 WAYS = 3
 LONG = 120
+WINDOW, LEAST, MOST = 8, 24, 128
 _END = re.compile(r"(?<=[.!?])\s+")
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
+_STEPS = {1: np.uint64(0x100000001B3), 2: np.uint64(0x9E3779B97F4A7C15), 4: np.uint64(0xC2B2AE3D27D4EB4F)}
+
 
 def _mix(x: np.ndarray, salt: int) -> np.ndarray:
     x = x + np.uint64((salt * 0x9E3779B97F4A7C15) & (2**64 - 1))
@@ -45,18 +49,44 @@ def _mix(x: np.ndarray, salt: int) -> np.ndarray:
 
 def paragraphs(text: str) -> list[str]:
     out: list[str] = []
+    long: list[str] = []
     for line in text.split("\n"):
         line = line.strip()
         if len(line) > LONG:
-            out += _END.split(line)
+            for piece in _END.split(line):
+                (long if len(piece) > LONG else out).append(piece)
         elif line:
             out.append(line)
+    return out + content_pieces(long) if long else out
+
+
+def content_pieces(long: list[str]) -> list[str]:
+    """Cut after about every 32nd place, chosen by the characters before it, but into LEAST to MOST characters; a piece's last part may be shorter."""
+    whole = "".join(long)
+    h = np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    for width in (1, 2, 4):  # in the end of WINDOW characters, and none of another piece's as LEAST is more
+        h = h[:-width] * _STEPS[width] + h[width:]
+    ends = (np.flatnonzero((h * _M1) >> np.uint64(59) == 0) + WINDOW).tolist()
+    out, at, k, stop = [], 0, 0, 0
+    for piece in long:
+        stop += len(piece)
+        while at < stop:
+            while k < len(ends) and ends[k] < at + LEAST:
+                k += 1
+            end = min(ends[k] if k < len(ends) else stop, at + MOST, stop)
+            out.append(whole[at:end])
+            at = end
     return out
 
 
 def digests(text: str) -> np.ndarray:
-    """Distinct 64-bit digests of the text's paragraphs."""
-    return np.fromiter({xxhash.xxh3_64_intdigest(p) for p in paragraphs(text)}, np.uint64)
+    """Distinct 64-bit digests of the text's paragraphs; the k-th repeat of one is hashed with seed k."""
+    often: dict[str, int] = {}
+    found = set()
+    for p in paragraphs(text):
+        k = often[p] = often.get(p, -1) + 1
+        found.add(xxhash.xxh3_64_intdigest(p, k))
+    return np.fromiter(found, np.uint64)
 
 
 class Sketches:
