@@ -11,8 +11,8 @@ probability of the string is a probability of the sequence of words and its end.
    gain over ``GAIN`` per log of all symbols), or if a deeper retained context ends with it.
 4. A retained context's distribution is smoothed towards its parent's, down to the root and the uniform one.
 5. Each symbol is scored by the state of the longest retained suffix of what precedes it.
-6. A text's score is the mean of two probabilities, the tree's and the unigram base's: on a small corpus the
-   tree knows few contexts, and the mean is never far below the better one. ``tree_score`` is the tree's own.
+6. A text's score is the tree's own log10 probability of it: the sum over its symbols. The unigram base is reported
+   beside it and does not enter it.
 
 The unigram base needs each word's count over the whole training set. The vocabulary grows
 with the corpus, so it is joined to each block's distinct words, by 64-bit hashes, and never broadcast.
@@ -24,6 +24,7 @@ tree is the uniform root; extra columns are ignored.
 
 from __future__ import annotations
 
+import pickle
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -32,6 +33,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 import xxhash
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -39,12 +41,12 @@ from walkfold.llm.common import cut, tidy, trim
 
 DEPTH = 6
 GAIN = 0.25
-STRENGTH = 2.0
+#: How many symbols' worth of its parent's distribution a context borrows; chosen on a split inside the training fold.
+STRENGTH = 16.0
 END = 10  # the line end: no word holds it
 CHUNK = 1 << 20
 PIECE = 1 << 24  # characters of text for one piece of the tree
 BLOCK_ROWS = 4_500
-LOG2 = float(np.log10(2.0))
 
 
 def held_out(doc_id: int | None, folds: int = 10) -> bool:
@@ -449,7 +451,7 @@ def answer(packed: DataFrame, cuts: Cuts, upper) -> DataFrame:
         keys, of = np.unique(np.concatenate([np.cumsum(grow(r["keys"], r["size"], np.uint64), dtype=np.uint64) for r in rows]), return_inverse=True)
         n = np.bincount(of, weights=np.concatenate([grow(r["counts"], r["size"], np.int64) for r in rows]), minlength=len(keys)).astype(np.int64)
         tree = rows[0]["piece"] < first_term
-        values, flags = tree_piece(keys, n, upper.value) if tree else (n, np.zeros(0, np.int64))
+        values, flags = tree_piece(keys, n, pickle.loads(upper.value)) if tree else (n, np.zeros(0, np.int64))
         at, seen, total = 0, 0 if tree else int((n > 0).sum()), 0 if tree else int(n.sum())
         for r, size in zip(rows, sizes, strict=True):
             data = shrink(values[of[at : at + size]])
@@ -461,7 +463,7 @@ def answer(packed: DataFrame, cuts: Cuts, upper) -> DataFrame:
 
 
 def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, tree_score of every row."""
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
     spark, row = docs.sparkSession, F.monotonically_increasing_id()
     docs = docs.select("doc_id", "text")
     cuts = sample(docs)
@@ -469,7 +471,8 @@ def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
     docs = docs.select((F.shiftright(row, 33) * (1 << 20) + F.floor(row.bitwiseAND(F.lit((1 << 33) - 1)) / BLOCK_ROWS)).cast("long").alias("block"), "doc_id", "text")
     packed = cut(pack(docs, cuts, folds), "lm-packed")
     rows = packed.where("key IS NOT NULL").groupBy("key").agg(F.sum("n").alias("n")).toPandas()
-    upper = spark.sparkContext.broadcast(Upper(cuts, rows["key"].to_numpy(np.int64), rows["n"].to_numpy(np.int64)))
+    # sent with its code, so that no executor needs this package
+    upper = spark.sparkContext.broadcast(cloudpickle.dumps(Upper(cuts, rows["key"].to_numpy(np.int64), rows["n"].to_numpy(np.int64))))
     first_term = len(cuts.contexts) + 1
 
     def block(texts: pa.Table, answers: pa.Table) -> pa.Table:
@@ -482,7 +485,8 @@ def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
         rows = sorted(answers.to_pylist(), key=lambda r: r["piece"])
         values = np.concatenate([grow(r["data"], r["size"], np.float32) for r in rows[:first_term]])
         counts = np.concatenate([grow(r["data"], r["size"], np.int64) for r in rows[first_term:]])
-        keep = upper.value.retained(np.concatenate([np.frombuffer(r["flags"], np.int64) for r in rows]))
+        above = pickle.loads(upper.value)
+        keep = above.retained(np.concatenate([np.frombuffer(r["flags"], np.int64) for r in rows]))
         seen, n_all = sum(r["seen"] for r in rows), sum(r["total"] for r in rows)
         ids = texts["doc_id"].to_pylist()
         vocabulary: defaultdict = defaultdict()
@@ -500,18 +504,18 @@ def score_documents(docs: DataFrame, folds: int = 10) -> DataFrame:
         if len(keys) != len(values) or len(hashed) != len(counts):
             raise ValueError("the table's rows came in another order when they were read again")
         upper_ones = np.flatnonzero(np.isnan(values))
-        values[upper_ones] = np.log10(np.maximum(upper.value.answers(keys[upper_ones], keep), 1e-30))
+        values[upper_ones] = np.log10(np.maximum(above.answers(keys[upper_ones], keep), 1e-30))
         tree = np.concatenate([np.add.reduceat(values[np.searchsorted(keys, found)].astype(np.float64)[of], starts) for found, of, starts in parts])
         sizes = np.array(sizes)
         at = np.concatenate([[0], np.cumsum(sizes)[:-1]])
         count = counts[inverse][np.concatenate(terms)]
         base = np.add.reduceat(np.log10(count + 0.1), at) - sizes * np.log10(n_all + 0.1 * (seen + 1))
         known = np.add.reduceat((count > 0).astype(np.int64), at)
-        columns = (pa.array(ids, pa.int64()), pa.array([held_out(i, folds) for i in ids], pa.bool_()), pa.array(sizes), pa.array(known), pa.array(np.full(len(ids), n_all)), pa.array(base), pa.array(np.logaddexp2(base / LOG2, tree / LOG2) * LOG2 - LOG2), pa.array(tree))
-        return pa.table(dict(zip(("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "tree_score"), columns, strict=True)))
+        columns = (pa.array(ids, pa.int64()), pa.array([held_out(i, folds) for i in ids], pa.bool_()), pa.array(sizes), pa.array(known), pa.array(np.full(len(ids), n_all)), pa.array(base), pa.array(tree))
+        return pa.table(dict(zip(("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"), columns, strict=True)))
 
     both = docs.groupBy("block").cogroup(answer(packed, cuts, upper).groupBy("block"))
-    return both.applyInArrow(block, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, tree_score double")
+    return both.applyInArrow(block, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 PACKED = ["block", "piece", "size", "keys", "counts", "key", "n"]
