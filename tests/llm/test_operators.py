@@ -382,16 +382,54 @@ def brute_hits(rows, items):
 def test_hits_match_brute_force(spark, odd, small, empty):
     bench = spark.createDataFrame([(1, "ALPHA beta gamma, delta epsilon zeta eta theta iota kappa lambda mu"), (2, "one"), (3, None), (4, "!!"), (10, "line two"), (11, "never seen words here"), (2, "the the the")], "item_id long, text string")
     rows = bench.collect()
-    got = Counter(map(tuple, decontaminate.hits(odd, bench).collect()))
+    got = Counter(tuple(r)[:6] for r in decontaminate.hits(odd, bench).collect())
     assert got == brute_hits(texts(odd), [(r.item_id, r.text) for r in rows])
     kept = {r.doc_id for r in decontaminate.drop_contaminated(odd, bench).collect()}
     assert kept == {r[0] for r in got if not r[5]}
     given = spark.read.parquet(f"{SF}/benchmark.parquet")
-    assert Counter(map(tuple, decontaminate.hits(small, given).collect())) == brute_hits(texts(small), [(r.item_id, r.text) for r in given.collect()])
+    assert Counter(tuple(r)[:6] for r in decontaminate.hits(small, given).collect()) == brute_hits(texts(small), [(r.item_id, r.text) for r in given.collect()])
     assert decontaminate.hits(empty, bench).count() == 0
     assert not any(r.contaminated for r in decontaminate.hits(odd, bench.where("false")).collect())
 
 
+def test_clashing_columns_are_carried(spark, odd):
+    """Columns named like the operators' own, in any case, go through and stay."""
+    names = ["_d", "_t", "_id", "_hash", "_HASH_", "_mix", "_mix_words", "_src", "_key", "epochs", "cut_key", "cut_words", "cut_group", "_row", "_text"]
+    df = odd.drop("size", "target", "key").selectExpr("*", *[f"{i} AS `{c}`" for i, c in enumerate(names)])
+    bench = spark.createDataFrame([(1, "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu")], "item_id long, text string")
+    for out in (mixing.mix(df), decontaminate.drop_contaminated(df, bench), jaccard_join.keep_one(df)):
+        rows = out.collect()
+        assert rows and set(df.columns) <= set(out.columns)
+        assert all(r[c] == i for r in rows for i, c in enumerate(names))
+    plain = odd.drop("size", "target", "key")
+    want = {(r.doc_id, r.taken) for r in mixing.mix(plain).collect()}
+    assert {(r.doc_id, r.taken) for r in mixing.mix(df).collect()} == want
+
+
+def test_links_through_rows_without_id(spark):
+    words = [f"w{i}" for i in range(60)]
+    a, b, c = (" ".join(words[i : i + 55]) for i in (0, 1, 2))
+    rows = [(1, a), (None, b), (3, c), (None, "no partner here at all"), (5, a + " x"), (None, b)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = Counter(map(tuple, jaccard_join.component_ids(df, 3, 95).collect()))
+    assert got == brute_components(rows, 3, 95)
+    kept = jaccard_join.keep_one(df, 3, 95).collect()
+    assert sorted((r.doc_id or -1, r.text) for r in kept) == sorted([(1, a), (-1, "no partner here at all")])
+
+
+def test_keep_one_of_texts_with_one_id(spark):
+    a = " ".join(f"v{i}" for i in range(40))
+    rows = [(1, a), (1, a + " more"), (2, a), (7, ""), (7, ""), (8, None)]
+    kept = jaccard_join.keep_one(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).collect()
+    assert sorted((r.doc_id, (r.text or "")[:2]) for r in kept) == [(1, "v0"), (7, ""), (7, ""), (8, "")]
+
+
+def test_proximity_counts_in_the_query(spark, odd):
+    bench = spark.createDataFrame([(1, "omicron kappa"), (2, "quick absent"), (3, "fox bank")], "item_id long, text string")
+    got = {r.doc_id: r.n_near for r in decontaminate.hits(odd, bench).collect()}
+    assert {i for i, n in got.items() if n} == {1, 7, 8} and got[7] == 1
+
+
 def test_proximity(spark, odd):
     bench = spark.createDataFrame([(1, "omicron kappa"), (2, "quick absent"), (3, "fox bank")], "item_id long, text string")
     # omicron stands five words after kappa; the text of document 1 is repeated, so fox stands five words after bank

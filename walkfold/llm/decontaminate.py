@@ -1,150 +1,166 @@
 """Benchmark decontamination by a positional inverted index, with DataFrame operations only.
 
-1. The frequency of each benchmark term in the training texts.
-2. Of every window of ``window`` consecutive item words, its rarest term is an anchor; windows with a term that no
-   training text has cannot occur and are left out.
-3. The index: for every training text, the postings (term, position, the words around it) of anchor terms.
-   It is stored once in the shared folder.
-4. A posting and an anchor of the same term set the item's list of positions against the text's at one offset; the
-   run of equal words around them is the intersection of all the terms' offset-adjusted lists. A run as long as a window is an exact
-   phrase match, and all its words are hit.
-
-Anchor terms are matched in blocks of ``TERMS_AT_ONCE``, so no set grows with the benchmark.
+1. The index is stored once in the shared folder: for every training text the postings of all its tokens (term, position),
+   sorted by term, so that a term's positions lie side by side. Any benchmark can be looked up in it.
+2. Frequencies of the benchmark's terms come from the index. Windows with a term that no training text has cannot occur.
+3. Every other window of ``window`` consecutive item words is looked up from its rarest terms: the position lists of the
+   two rarest are adjusted by the terms' offsets in the item and intersected, which leaves few diagonals (a text, an item,
+   and the difference of their positions).
+4. On these, the lists of all the item's terms are adjusted and intersected with the text's postings. A window whose
+   words are all there is an exact phrase match, and all its words are hit.
+5. Proximity: texts where an item's rarest terms lie within ``SPAN`` words of each other (``n_near`` counts the items).
+
+Terms are 64-bit hashes in the index: among 10^8 terms two clash with a chance of about 0.0003. No set of terms
+reaches the driver, and a table is broadcast only if its row count is checked to be small.
 
 Defined cases: null texts have no words; an item without words has no window; items of fewer words than a window
 are one window; rows with the same doc_id and text get the same figures; a null item_id is written as the empty
 string; an empty benchmark hits nothing; an empty table gives an empty result; extra columns are ignored
-(``drop_contaminated`` carries them).
+(``drop_contaminated`` carries them, whatever they are called).
 """
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from walkfold.llm.common import cut, lower_ascii
+from walkfold.llm.common import cut, lower_ascii, unused
 
 #: What stands between words once A-Z are lower-case.
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 10
-TERMS_AT_ONCE = 50_000
-#: Anchor rows (each under 1 KB) up to this many are broadcast; more are joined by shuffle.
-BROADCAST_ANCHORS = 50_000
+NEAR_TERMS, SPAN = 2, 20
+#: Look-up rows (each under 200 bytes) up to this many are broadcast; more are joined by shuffle.
+BROADCAST_ROWS = 50_000
 
 
 def words(text: Column) -> Column:
     return F.array_remove(F.split(lower_ascii(text), BETWEEN), "")
 
 
-def _small(df: DataFrame, most: int = BROADCAST_ANCHORS) -> DataFrame:
+def _small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.count() <= most else df
 
 
 def item_words(benchmark: DataFrame) -> DataFrame:
-    """One row for each word of each distinct item: item_id, _item, at, term, n, ws."""
+    """One row for each word of each distinct item: item_id, _item (hash of id and words), at, term, h (its hash), n."""
     items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item_id"), words(F.col("text")).alias("ws")).distinct()
-    items = items.where(F.size("ws") > 0).withColumn("_item", F.struct("item_id", F.md5(F.concat_ws(" ", "ws"))))
-    return items.select("item_id", "_item", "ws", F.size("ws").alias("n"), F.posexplode("ws").alias("at", "term")).withColumn("at", F.col("at") + 1)
-
-
-def term_frequencies(docs: DataFrame, terms: DataFrame) -> DataFrame:
-    """term, df: occurrences in the training texts of those of ``terms`` that occur."""
-    seen = docs.select(F.explode(words(F.col("text"))).alias("term"))
-    return seen.join(_small(terms), "term").groupBy("term").agg(F.count(F.lit(1)).alias("df"))
-
-
-def anchors(items: DataFrame, frequencies: DataFrame, window: int = WINDOW) -> DataFrame:
-    """item_id, at, term, need, left, right: rarest terms of the windows that can occur, with the words around them."""
-    known = items.join(frequencies, "term")
-    length = F.least(F.col("n"), F.lit(window))
-    start = F.explode(F.sequence(F.greatest(F.lit(1), F.col("at") - length + 1), F.least(F.col("at"), F.col("n") - length + 1)))
-    placed = known.select("_item", "item_id", "ws", length.alias("need"), "at", "term", "df", start.alias("start"))
-    whole = placed.groupBy("_item", "start").agg(F.count(F.lit(1)).alias("_c"), F.first("need").alias("need"), F.min(F.struct("df", "at", "term")).alias("_r")).where("_c = need")
-    chosen = whole.select("_item", "need", F.col("_r.at").alias("at"), F.col("_r.term").alias("term")).distinct()
-    texts = items.where("at = 1").select("_item", "item_id", "ws")
-    return chosen.join(texts, "_item").select("item_id", "at", "term", "need", *_around(F.col("ws"), F.col("at"), window))
-
-
-def _around(ws: Column, at: Column, window: int) -> list[Column]:
-    """The words before ``at``, nearest first, and after it: window - 1 at most."""
-    low = F.greatest(at - (window - 1), F.lit(1))
-    return [F.reverse(F.slice(ws, low, at - low)).alias("left"), F.slice(ws, at + 1, window - 1).alias("right")]
+    items = items.where(F.size("ws") > 0).withColumn("_item", F.sha1(F.concat_ws(" ", "item_id", F.array_join("ws", " "))))
+    items = items.select("item_id", "_item", F.size("ws").alias("n"), F.posexplode("ws").alias("at", "term"))
+    return items.withColumn("at", F.col("at") + 1).withColumn("h", F.xxhash64("term"))
 
 
-def positional_index(docs: DataFrame, terms: list[str], window: int = WINDOW) -> DataFrame:
-    """One row for each row of ``docs``: doc_id, _text (hash), n_words, postings (pos, term, left, right) of ``terms``."""
-
-    def posting(ws: Column, i: Column) -> Column:
-        return F.struct(i.alias("pos"), F.element_at(ws, i).alias("term"), *_around(ws, i, window))
+def positional_index(docs: DataFrame) -> DataFrame:
+    """One row for each row of ``docs``: _row, doc_id, _text (hash), n_words, postings (term hash, pos) sorted by term."""
 
     def row(ws: Column) -> Column:
-        places = F.filter(F.sequence(F.lit(1), F.size(ws)), lambda i: F.element_at(ws, i).isin(terms)) if terms else F.array().cast("array<int>")
-        return F.struct(F.size(ws).cast("long").alias("n_words"), F.when(F.size(ws) > 0, F.transform(places, lambda i: posting(ws, i))).alias("postings"))
+        return F.struct(F.size(ws).cast("long").alias("n_words"), F.sort_array(F.transform(ws, lambda w, i: F.struct(F.xxhash64(w).alias("term"), (i + 1).alias("pos")))).alias("postings"))
 
     # the lambda binds the words, so that they are cut once
     bound = F.element_at(F.transform(F.array(words(F.col("text"))), row), 1)
-    return docs.select("doc_id", F.xxhash64("text").alias("_text"), bound.alias("_row")).select("doc_id", "_text", "_row.n_words", "_row.postings")
+    rows = docs.select("doc_id", F.xxhash64("text").alias("_text"), bound.alias("_words")).select("doc_id", "_text", "_words.n_words", "_words.postings")
+    return rows.withColumn("_row", F.monotonically_increasing_id())
 
 
-def _run(a: Column, b: Column) -> Column:
-    """How many words two lists have in common from their start."""
-    differ = F.array_position(F.zip_with(a, b, lambda x, y: x.eqNullSafe(y)), F.lit(False))
-    return F.when(differ > 0, differ - 1).otherwise(F.size(a)).cast("int")
+def postings(index: DataFrame) -> DataFrame:
+    """_row, h, pos: the index one posting a row."""
+    return index.select("_row", F.inline("postings").alias("h", "pos"))
 
 
-def phrase_matches(index: DataFrame, chosen: DataFrame) -> DataFrame:
-    """doc_id, _text, item_id, low, high: runs of text words that are windows of an item."""
-    postings = index.where(F.size("postings") > 0).select("doc_id", "_text", F.inline("postings"))
-    here = chosen.select("item_id", "term", "need", F.col("left").alias("_l"), F.col("right").alias("_r"))
-    met = postings.join(here, "term").select("doc_id", "_text", "item_id", "pos", "need", _run(F.col("left"), F.col("_l")).alias("l"), _run(F.col("right"), F.col("_r")).alias("r"))
-    return met.where("l + r + 1 >= need").select("doc_id", "_text", "item_id", (F.col("pos") - F.col("l")).alias("low"), (F.col("pos") + F.col("r")).alias("high"))
+def term_frequencies(index: DataFrame, terms: DataFrame) -> DataFrame:
+    """h, df: occurrences in the training texts of those of ``terms`` that occur."""
+    return index.select(F.explode("postings.term").alias("h")).join(_small(terms), "h").groupBy("h").agg(F.count(F.lit(1)).alias("df"))
 
 
-def _matches(docs: DataFrame, benchmark: DataFrame, window: int) -> tuple[DataFrame, DataFrame]:
-    """All rows' n_words, and the phrase matches."""
+def windows(items: DataFrame, frequencies: DataFrame, window: int = WINDOW) -> DataFrame:
+    """_item, need, rare: the windows that can occur, with their two rarest terms (df, at, h); equal pairs of terms once."""
+    known = items.join(frequencies, "h")
+    length = F.least(F.col("n"), F.lit(window))
+    start = F.explode(F.sequence(F.greatest(F.lit(1), F.col("at") - length + 1), F.least(F.col("at"), F.col("n") - length + 1)))
+    placed = known.select("_item", length.alias("need"), "at", "h", "df", start.alias("start"))
+    whole = placed.groupBy("_item", "start", "need").agg(F.sort_array(F.collect_list(F.struct("df", "at", "h"))).alias("all")).where(F.size("all") == F.col("need"))
+    return whole.select("_item", "need", F.slice("all", 1, 2).alias("rare")).distinct()
+
+
+def diagonals(index: DataFrame, wins: DataFrame) -> DataFrame:
+    """_row, _item, diag: where the adjusted lists of a window's two rarest terms meet (pos = at + diag for both)."""
+    looked = wins.select("_item", F.inline("rare").alias("_df", "at", "h")).select("_item", "at", "h").distinct()
+    met = postings(index).join(_small(looked), "h").select("_row", "_item", (F.col("pos") - F.col("at")).alias("diag"), "at")
+    met = met.groupBy("_row", "_item", "diag").agg(F.collect_set("at").alias("ats"))
+    pairs = wins.select("_item", F.col("rare.at").alias("_pair")).distinct()
+    met = met.join(_small(pairs), "_item").where(F.size(F.array_except("_pair", "ats")) == 0)
+    return met.select("_row", "_item", "diag").distinct()
+
+
+def phrase_matches(index: DataFrame, items: DataFrame, found: DataFrame, window: int = WINDOW) -> DataFrame:
+    """_row, item_id, places: exact occurrences of an item's windows on these diagonals, as the hit positions."""
+    lists = items.groupBy("_item", "item_id", "n").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", "h"))), lambda x: x["h"]).alias("hs"))
+    found = cut(found.join(_small(lists), "_item"), "decon-diagonals")
+    here = index.select("_row", F.transform("postings", lambda p: F.xxhash64(p["term"], p["pos"])).alias("codes"))
+    met = here.join(_small(found, 10 * BROADCAST_ROWS), "_row")
+    at = F.sequence(F.lit(1), F.col("n"))
+    # the offset-adjusted lists of all terms at once: which (term, position) the text has of those that the item would need
+    wanted = F.transform(at, lambda i: F.xxhash64(F.element_at("hs", i), i + F.col("diag")))
+    met = met.select("_row", "item_id", "diag", "n", wanted.alias("wanted"), F.array_intersect(wanted, "codes").alias("there"))
+    met = met.withColumn("there", F.filter(at, lambda i: F.array_contains("there", F.element_at("wanted", i))))
+    need = F.least(F.col("n"), F.lit(window))
+    starts = F.filter("there", lambda s: (s + need - 1 <= F.col("n")) & (F.size(F.filter("there", lambda i: (i >= s) & (i < s + need))) == need))
+    met = met.withColumn("starts", starts).where(F.size("starts") > 0)
+    places = F.array_distinct(F.flatten(F.transform("starts", lambda s: F.sequence(s + F.col("diag"), s + F.col("diag") + need - 1))))
+    return met.select("_row", "item_id", places.alias("places"))
+
+
+def near_matches(index: DataFrame, items: DataFrame, frequencies: DataFrame, terms: int = NEAR_TERMS, span: int = SPAN) -> DataFrame:
+    """_row, item_id: texts that hold an item's ``terms`` rarest known terms within ``span`` words of its rarest one."""
+    known = items.select("item_id", "term", "h").distinct().join(frequencies, "h")
+    rare = known.groupBy("item_id").agg(F.slice(F.sort_array(F.collect_set(F.struct("df", "term", "h"))), 1, terms).alias("_t")).where(F.size("_t") == terms)
+    rare = cut(rare.select("item_id", F.posexplode("_t.h").alias("rank", "h")), "near-terms")
+    lists = postings(index).join(_small(rare), "h").groupBy("_row", "item_id", "rank").agg(F.collect_list("pos").alias("at"))
+    met = lists.groupBy("_row", "item_id").agg(F.collect_list(F.struct("rank", "at")).alias("_m")).where(F.size("_m") == terms)
+    by_rank = F.transform(F.sort_array("_m"), lambda x: x["at"])
+    near = F.exists(by_rank[0], lambda p: F.forall(by_rank, lambda more: F.exists(more, lambda q: F.abs(p - q) <= span)))
+    return met.where(near).select("_row", "item_id")
+
+
+def _looked_up(docs: DataFrame, benchmark: DataFrame, window: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """The index, the items' words, their frequencies, and the phrase matches."""
     items = cut(item_words(benchmark), "decon-items")
-    chosen = cut(anchors(items, term_frequencies(docs, items.select("term").distinct()), window), "decon-anchors")
-    terms = sorted(x[0] for x in chosen.select("term").distinct().collect())
-    chosen = _small(chosen)
-    indexes = [cut(positional_index(docs, terms[at : at + TERMS_AT_ONCE], window), "decon-index") for at in range(0, max(len(terms), 1), TERMS_AT_ONCE)]
-    return indexes[0].select("doc_id", "_text", "n_words"), reduce(DataFrame.unionByName, [phrase_matches(x, chosen) for x in indexes])
+    index = cut(positional_index(docs), "decon-index")
+    frequencies = cut(term_frequencies(index, items.select("h").distinct()), "decon-frequencies")
+    wins = cut(windows(items, frequencies, window), "decon-windows")
+    found = cut(diagonals(index, wins), "decon-found")
+    return index, items, frequencies, cut(phrase_matches(index, items, found, window), "decon-phrases")
 
 
 def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated of every row."""
-    rows, found = _matches(docs, benchmark, window)
-    found = found.groupBy("doc_id", "_text").agg(F.collect_set(F.struct("low", "high")).alias("runs"), F.collect_set("item_id").alias("items"))
-    places = F.array_distinct(F.flatten(F.transform("runs", lambda x: F.sequence(x["low"], x["high"]))))
-    found = found.select(F.col("doc_id").alias("_d"), F.col("_text").alias("_t"), F.size(places).cast("long").alias("n_hit"), F.sort_array("items").alias("items"))
-    out = rows.join(found, rows["doc_id"].eqNullSafe(found["_d"]) & (rows["_text"] == found["_t"]), "left")
-    items = F.coalesce("items", F.array().cast("array<string>"))
-    n_hit = F.coalesce("n_hit", F.lit(0).cast("long"))
-    return out.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"), F.sha2(F.concat_ws(",", items).cast("binary"), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"))
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, n_near of every row."""
+    index, items, frequencies, found = _looked_up(docs, benchmark, window)
+    per = found.groupBy("_row").agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).cast("long").alias("n_hit"), F.sort_array(F.collect_set("item_id")).alias("items"))
+    near = near_matches(index, items, frequencies).groupBy("_row").agg(F.count(F.lit(1)).alias("n_near"))
+    per = cut(per.join(near, "_row", "full_outer"), "decon-rows")
+    out = index.select("_row", "doc_id", "n_words").join(_small(per, 10 * BROADCAST_ROWS), "_row", "left")
+    named = F.coalesce("items", F.array().cast("array<string>"))
+    none = F.lit(0).cast("long")
+    n_hit = F.coalesce("n_hit", none)
+    return out.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(named).cast("long").alias("n_items"), F.sha2(F.concat_ws(",", named).cast("binary"), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"), F.coalesce("n_near", none).alias("n_near"))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """The rows of ``docs``, all columns, without a phrase of the benchmark."""
-    found = _matches(docs, benchmark, window)[1].select(F.col("doc_id").alias("_d"), F.col("_text").alias("_t")).distinct()
-    return docs.join(_small(cut(found, "decon-found"), 500_000), docs["doc_id"].eqNullSafe(F.col("_d")) & (F.xxhash64(docs["text"]) == F.col("_t")), "left_anti")
+    index, _, _, found = _looked_up(docs, benchmark, window)
+    ident, mark = unused(docs.columns, "_id"), unused(docs.columns, "_hash")
+    rows = index.select("_row", F.col("doc_id").alias(ident), F.col("_text").alias(mark)).join(_small(found.select("_row").distinct(), 10 * BROADCAST_ROWS), "_row", "left_semi")
+    bad = _small(cut(rows.select(ident, mark).distinct(), "decon-bad"), 10 * BROADCAST_ROWS)
+    return docs.join(bad, docs["doc_id"].eqNullSafe(bad[ident]) & (F.xxhash64(docs["text"]) == bad[mark]), "left_anti")
 
 
-def proximity_matches(docs: DataFrame, benchmark: DataFrame, terms: int = 2, span: int = 20) -> DataFrame:
+def proximity_matches(docs: DataFrame, benchmark: DataFrame, terms: int = NEAR_TERMS, span: int = SPAN) -> DataFrame:
     """doc_id, item_id: texts that hold an item's ``terms`` rarest terms within ``span`` words of the rarest one."""
     items = cut(item_words(benchmark), "near-items")
-    known = items.select("item_id", "term").distinct().join(term_frequencies(docs, items.select("term").distinct()), "term")
-    rare = known.groupBy("item_id").agg(F.slice(F.sort_array(F.collect_set(F.struct("df", "term"))), 1, terms).alias("_t")).where(F.size("_t") == terms)
-    rare = cut(rare.select("item_id", F.posexplode("_t").alias("rank", "_s")).select("item_id", "rank", F.col("_s.term").alias("term")), "near-terms")
-    chosen = sorted(x[0] for x in rare.select("term").distinct().collect())
-    out = []
-    index = cut(positional_index(docs, chosen, 2), "near-index").where(F.size("postings") > 0)
-    lists = index.select("doc_id", "_text", F.inline("postings")).groupBy("doc_id", "_text", "term").agg(F.collect_list("pos").alias("at"))
-    met = lists.join(_small(rare), "term").groupBy("doc_id", "_text", "item_id").agg(F.collect_list(F.struct("rank", "at")).alias("_m")).where(F.size("_m") == terms)
-    by_rank = F.transform(F.sort_array("_m"), lambda x: x["at"])
-    near = F.exists(by_rank[0], lambda p: F.forall(by_rank, lambda more: F.exists(more, lambda q: F.abs(p - q) <= span)))
-    out = met.where(near).select("doc_id", "item_id").distinct()
-    return out
+    index = cut(positional_index(docs), "near-index")
+    frequencies = cut(term_frequencies(index, items.select("h").distinct()), "near-frequencies")
+    found = near_matches(index, items, frequencies, terms, span)
+    return index.select("_row", "doc_id").join(found, "_row").select("doc_id", "item_id").distinct()
 
 
 _W = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"
@@ -156,8 +172,15 @@ ls AS (SELECT DISTINCT l FROM b),
 dw AS (SELECT doc_id, l, i, array_to_string(w[i : i + l - 1], ' ') AS g FROM (SELECT doc_id, w, l, unnest(range(1, len(w) - l + 2)) AS i FROM d, ls WHERE len(w) >= l)),
 h AS (SELECT DISTINCT doc_id, i, l, item_id FROM dw JOIN bw USING (l, g)),
 p AS (SELECT doc_id, count(DISTINCT pl) AS n_hit FROM (SELECT doc_id, unnest(range(i, i + l)) AS pl FROM h) GROUP BY doc_id),
-k AS (SELECT doc_id, count(*) AS n_items, sha256(string_agg(x, ',' ORDER BY x)) AS s FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS x FROM h) GROUP BY doc_id)
+k AS (SELECT doc_id, count(*) AS n_items, sha256(string_agg(x, ',' ORDER BY x)) AS s FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS x FROM h) GROUP BY doc_id),
+dt AS (SELECT doc_id, unnest(w) AS t, unnest(range(1, len(w) + 1)) AS pos FROM d),
+bt AS (SELECT DISTINCT item_id::VARCHAR AS x, unnest(w) AS t FROM b),
+df AS (SELECT t, count(*) AS df FROM dt WHERE t IN (SELECT t FROM bt) GROUP BY t),
+rk AS (SELECT x, t, row_number() OVER (PARTITION BY x ORDER BY df, t) AS r FROM bt JOIN df USING (t)),
+pp AS (SELECT dt.doc_id, rk.x, rk.r, dt.pos FROM dt JOIN rk USING (t) WHERE rk.r <= 2),
+nr AS (SELECT doc_id, count(DISTINCT x) AS n_near FROM (SELECT a.doc_id, a.x FROM pp a JOIN pp c ON a.doc_id = c.doc_id AND a.x = c.x AND a.r = 1 AND c.r = 2 AND abs(a.pos - c.pos) <= 20) GROUP BY doc_id)
 SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
-       coalesce(s, sha256('')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
-FROM d LEFT JOIN p USING (doc_id) LEFT JOIN k USING (doc_id)
+       coalesce(s, sha256('')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated,
+       coalesce(n_near, 0)::BIGINT AS n_near
+FROM d LEFT JOIN p USING (doc_id) LEFT JOIN k USING (doc_id) LEFT JOIN nr USING (doc_id)
 """

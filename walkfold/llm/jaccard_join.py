@@ -29,13 +29,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkfold.llm.common import cut, tidy, trim
+from walkfold.llm.common import WORD, cut, tidy, trim, unused
 from walkfold.llm.components import components
 
 GROUP = 64
 BLOCK = 3_000_000
 BUCKET = 20_000
 BITS = 1 << 25
+#: A row is known by its doc_id and this hash of its text: neither a null id nor one id on two texts hides a row.
+TEXT = "xxhash64(text)"
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -129,7 +131,7 @@ def _key(h: np.ndarray) -> int:
 
 
 def classes(docs: DataFrame, k: int, t: float) -> DataFrame:
-    """doc_id, key (of the class), n_shingles; sigs and sketch, null where the partition has had that class before."""
+    """doc_id, _text (hash), key (of the class), n_shingles; sigs and sketch, null where the partition has had that class before."""
 
     def run(batches):
         cache, seen = _Hashes(), set()
@@ -151,9 +153,9 @@ def classes(docs: DataFrame, k: int, t: float) -> DataFrame:
                         seen.add(key)
                         sigs.append(signatures(h, t))
                         bits.append(sketch(h))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int64())), pa.array(bits, pa.binary())], ["doc_id", "key", "n_shingles", "sigs", "sketch"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int64())), pa.array(bits, pa.binary())], ["doc_id", "_text", "key", "n_shingles", "sigs", "sketch"])
 
-    return docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, key long, n_shingles long, sigs array<long>, sketch binary")
+    return docs.select("doc_id", "text", F.expr(TEXT).alias("_text")).mapInArrow(tidy(run), "doc_id long, _text long, key long, n_shingles long, sigs array<long>, sketch binary")
 
 
 def needed(a: np.ndarray, b, percent: int) -> np.ndarray:
@@ -242,7 +244,8 @@ def _candidates(found: DataFrame, percent: int) -> DataFrame:
 
     A segment's classes are dealt into pairs of parts when they are over ``BUCKET``.
     """
-    rows = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig"))
+    # a class comes once for each partition that holds a copy: here each class counts once
+    rows = found.where("sigs IS NOT NULL").select("key", F.explode("sigs").alias("sig")).repartition("sig").dropDuplicates(["sig", "key"])
     whole = W.partitionBy("sig")
     stated = {"_a": F.min("key"), "_z": F.max("key"), "_x": F.bit_xor(F.xxhash64("key")), "_c": F.count(F.lit(1))}
     shared = rows.select("sig", "key", *[x.over(whole).alias(k) for k, x in stated.items()]).where("_a != _z")
@@ -297,11 +300,11 @@ def _candidates(found: DataFrame, percent: int) -> DataFrame:
 
 
 def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
-    """doc_id and text of the rows whose id's bit is set by an id of ``reps``: few others, so few texts are moved.
+    """doc_id, text and _text of the rows whose bit is set by a row of ``reps``: few others, so few texts are moved.
 
     The bit set has ``BITS`` bits, whatever the input: at most BITS / 64 rows reach the driver.
     """
-    bit = F.pmod(F.xxhash64("doc_id"), F.lit(BITS))
+    bit = F.pmod(F.xxhash64("doc_id", "_text"), F.lit(BITS))
     rows = reps.select(F.shiftright(bit, 6).alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), bit.bitwiseAND(63).cast("int")).alias("b"))
     held = rows.groupBy("w").agg(F.bit_or("b").alias("b")).toPandas()
     table = np.zeros(BITS // 64, np.uint64)
@@ -310,11 +313,12 @@ def _maybe(docs: DataFrame, reps: DataFrame) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            at = batch.column(2).to_numpy()
+            at = batch.column(3).to_numpy()
             good = (sent.value[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)
-            yield pa.RecordBatch.from_arrays(batch.columns[:2], ["doc_id", "text"]).filter(pa.array(good.astype(bool)))
+            yield pa.RecordBatch.from_arrays(batch.columns[:3], ["doc_id", "text", "_text"]).filter(pa.array(good.astype(bool)))
 
-    return docs.where("doc_id IS NOT NULL").select("doc_id", "text", bit.alias("_bit")).mapInArrow(tidy(run), "doc_id long, text string")
+    rows = docs.select("doc_id", "text", F.expr(TEXT).alias("_text")).withColumn("_bit", bit)
+    return rows.mapInArrow(tidy(run), "doc_id long, text string, _text long")
 
 
 def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
@@ -323,11 +327,16 @@ def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
     sizes = found.where("n_shingles > 0").groupBy("key").agg(F.first("n_shingles").alias("_n"))
     family = family.join(sizes, "key")
     family = family.join(family.groupBy("root").agg(F.ceil(F.sum("_n") / BLOCK).cast("int").alias("_blocks")), "root")
-    reps = found.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
-    reps = family.join(reps, "key").select("doc_id", F.col("key").alias("_key"), F.col("root").alias("_root"), "_blocks")
+    # the class's row with the least id stands for it, a row without id only where no row has one
+    least = F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("_text"))).alias("_r")
+    reps = family.join(found.where("n_shingles > 0").groupBy("key").agg(least), "key")
+    reps = reps.select("_r.doc_id", "_r._text", F.col("key").alias("_key"), F.col("root").alias("_root"), "_blocks")
     mine = F.pmod(F.xxhash64("_key"), F.col("_blocks")).cast("int")
     reps = cut(reps, "jaccard-classes")
-    texts = _maybe(docs, reps).join(reps, "doc_id")
+    texts = _maybe(docs, reps)
+    named = texts.where("doc_id IS NOT NULL").join(reps.where("doc_id IS NOT NULL"), ["doc_id", "_text"])
+    nameless = texts.where("doc_id IS NULL").dropDuplicates(["_text"]).join(reps.where("doc_id IS NULL").drop("doc_id"), "_text")
+    texts = named.unionByName(nameless.select(*named.columns))
     texts = texts.withColumn("_b", mine).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
     texts = texts.select("_root", F.least("_b", "_o").alias("_b1"), F.greatest("_b", "_o").alias("_b2"), "_key", "text")
 
@@ -336,7 +345,7 @@ def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
         for key, text in zip(table["_key"].to_pylist(), table["text"].cast(pa.binary()), strict=True):
             if key not in held:
                 h = shingles(text.as_py(), k, cache)
-                if _key(h) == key:  # another row with this doc_id has another text
+                if _key(h) == key:  # another text with this hash
                     held[key] = h
         out = link_family(np.array(list(held), np.int64), list(held.values()), percent) if len(held) > 1 else []
         if table.nbytes > 8 << 20:
@@ -347,12 +356,18 @@ def links(docs: DataFrame, found: DataFrame, k: int, percent: int) -> DataFrame:
     return texts.groupBy("_root", "_b1", "_b2").applyInArrow(run, "a long, b long")
 
 
-def component_ids(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row."""
+def _components(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """The rows (doc_id, _text, n_shingles, key), and of each class of rows with shingles its root."""
     found = cut(classes(docs, k, percent / 100), "jaccard-sets")
     roots = components(links(docs, found, k, percent), "a", "b")
-    of_class = found.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("least"))
-    of_class = of_class.join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    of_class = found.where("n_shingles > 0").select("key").distinct().join(roots.withColumnRenamed("node", "key"), "key", "left")
+    return found, of_class.withColumn("root", F.coalesce("root", "key"))
+
+
+def component_ids(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """doc_id, n_shingles, component_id of every row."""
+    found, of_class = _components(docs, k, percent)
+    of_class = of_class.join(found.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("least")), "key")
     ids = of_class.groupBy("root").agg(F.min("least").alias("component_id"))
     of_class = cut(of_class.join(ids, "root").select("key", "component_id"), "jaccard-ids")
     out = found.select("doc_id", "n_shingles", "key").join(of_class, "key", "left")
@@ -361,11 +376,20 @@ def component_ids(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs`` that come first (by doc_id) in their component, all columns; of rows with one doc_id there, one."""
-    ids = component_ids(docs, k, percent)
-    first = ids.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    kept = docs.join(first, docs["doc_id"].eqNullSafe(first["_kept"]), "left_semi")
-    return kept.dropDuplicates(["doc_id", "text"])
+    """Of each component the row that comes first (by doc_id, null ids last, then by text hash), all columns.
+
+    Rows repeated whole stay once; rows without words link with nothing and all stay. One doc_id on two texts of a
+    component keeps one of them.
+    """
+    found, of_class = _components(docs, k, percent)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "_text")).alias("_r")
+    per_class = found.where("n_shingles > 0").groupBy("key").agg(first)
+    kept = of_class.join(per_class, "key").groupBy("root").agg(F.min("_r").alias("_r"))
+    ident, mark = unused(docs.columns, "_id"), unused(docs.columns, "_hash")
+    kept = cut(kept.select(F.col("_r.doc_id").alias(ident), F.col("_r._text").alias(mark)), "jaccard-kept")
+    blank = F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)) == 0
+    chosen = docs.where(~blank).join(kept, docs["doc_id"].eqNullSafe(kept[ident]) & (F.xxhash64(docs["text"]) == kept[mark]), "left_semi")
+    return chosen.dropDuplicates(["doc_id", "text"]).unionByName(docs.where(blank))
 
 
 SQL = """

@@ -18,10 +18,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkfold.llm.common import count_words, cut
+from walkfold.llm.common import count_words, cut, unused
 
 #: Sources' rows up to this many are broadcast (under 100 bytes each); more are joined by shuffle.
 BROADCAST_SOURCES = 20_000
+#: Hex digits of the key in the ranges: a source of 10^12 documents has under 10^5 in one of the last ranges.
+PREFIXES = (3, 6)
 ADDED = ("size", "source_size", "target", "taken")
 
 
@@ -65,16 +67,19 @@ def source_cuts(sized: DataFrame, weights=(5, 2, 1), share=1.5, most=2.0) -> Dat
     budget = F.floor("target").cast("long")
     epochs = F.when(F.col("source_size") > 0, F.expr("CAST(floor(target) AS BIGINT) div source_size")).otherwise(F.lit(0)).cast("long")
     targets = cut(targets.withColumn("epochs", epochs).withColumn("_rest", budget - epochs * F.col("source_size")), "mix-targets")
-    bucket = F.substring("_key", 1, 3).alias("_range")
-    ranges = sized.groupBy("_src", bucket).agg(F.sum("size").alias("_sum"))
-    place = W.partitionBy("_src").orderBy("_range").rowsBetween(W.unboundedPreceding, 0)
-    ranges = ranges.withColumn("_end", F.sum("_sum").over(place))
-    holds = (
-        ranges.join(targets.select("_src", "_rest"), "_src")
-        .where((F.col("_rest") > 0) & (F.col("_end") >= F.col("_rest")) & (F.col("_end") - F.col("_sum") < F.col("_rest")))
-        .select("_src", "_range", (F.col("_end") - F.col("_sum")).alias("_start"), "_rest")
-    )
-    inside = sized.select("_src", bucket, "_key", "size").join(holds, ["_src", "_range"]).groupBy("_src", "_key", "_start", "_rest").agg(F.sum("size").alias("_group"))
+    # the range of keys that holds the cut, found by ever longer prefixes of the key: none is sorted row by row but the last
+    inside = sized.select("_src", "_key", "size")
+    start = targets.where("_rest > 0").select("_src", F.lit(0).cast("long").alias("_start"), "_rest")
+    for digits in PREFIXES:
+        inside = inside.withColumn("_range", F.substring("_key", 1, digits))
+        ranges = inside.groupBy("_src", "_range").agg(F.sum("size").alias("_sum")).join(start, "_src")
+        place = W.partitionBy("_src").orderBy("_range").rowsBetween(W.unboundedPreceding, 0)
+        ranges = ranges.withColumn("_end", F.col("_start") + F.sum("_sum").over(place))
+        holds = ranges.where((F.col("_end") >= F.col("_rest")) & (F.col("_end") - F.col("_sum") < F.col("_rest")))
+        holds = cut(holds.select("_src", "_range", (F.col("_end") - F.col("_sum")).alias("_start"), "_rest"), "mix-ranges")
+        inside = cut(inside.join(holds.select("_src", "_range"), ["_src", "_range"]).select("_src", "_key", "size"), "mix-inside")
+        start = holds.drop("_range")
+    inside = inside.join(start, "_src").groupBy("_src", "_key", "_start", "_rest").agg(F.sum("size").alias("_group"))
     inside = inside.withColumn("_upto", F.col("_start") + F.sum("_group").over(W.partitionBy("_src").orderBy("_key")))
     at = (
         inside.where(F.col("_upto") >= F.col("_rest"))
@@ -87,40 +92,47 @@ def source_cuts(sized: DataFrame, weights=(5, 2, 1), share=1.5, most=2.0) -> Dat
     )
 
 
-def _taken(size: Column) -> Column:
-    part = (
-        F.when(F.col("cut_key").isNull() | (F.col("_key") > F.col("cut_key")), F.lit(0))
-        .when(F.col("_key") < F.col("cut_key"), size)
-        .otherwise(F.floor(F.col("cut_words") * size / F.greatest(F.col("cut_group"), F.lit(1))))
-    )
-    return (F.col("epochs") * size + part).cast("long")
+def _taken(size: Column, key: Column, cuts: Column) -> Column:
+    """Whole epochs, and what the cut adds: the size under the cut key, a share at it, nothing above it."""
+    at = cuts["cut_key"]
+    part = F.when(at.isNull() | (key > at), F.lit(0)).when(key < at, size).otherwise(F.floor(cuts["cut_words"] * size / F.greatest(cuts["cut_group"], F.lit(1))))
+    return (cuts["epochs"] * size + part).cast("long")
 
 
 def sized_documents(docs: DataFrame, doc_id="doc_id", text="text", source="source") -> DataFrame:
     return docs.select(F.col(doc_id).alias("doc_id"), count_words(F.col(text)).alias("size"), _source_key(F.col(source)).alias("_src"), _document_key(F.col(doc_id)).alias("_key"))
 
 
-def apply_cuts(docs: DataFrame, cuts: DataFrame) -> DataFrame:
-    """``docs`` (with _src, _key, size) with source_size, target and taken."""
+def apply_cuts(docs: DataFrame, cuts: DataFrame, text: Column, doc_id: Column, source: Column) -> DataFrame:
+    """``docs`` with size, source_size, target and taken; whatever its columns are called."""
     cuts = cut(cuts, "mix-cuts")
+    own, word = unused(docs.columns, "_mix"), unused(docs.columns, "_mix_words")
+    rows = docs.withColumn(word, F.struct(count_words(text).alias("size"), _source_key(source).alias("src"), _document_key(doc_id).alias("key")))
+    cuts = cuts.select(F.struct(*cuts.columns).alias(own))
     if cuts.count() <= BROADCAST_SOURCES:
         cuts = F.broadcast(cuts)
-    return docs.join(cuts, "_src").withColumn("taken", _taken(F.col("size"))).drop("_src", "_key", "epochs", "cut_key", "cut_words", "cut_group")
+    rows = rows.join(cuts, F.col(f"{word}.src") == F.col(f"{own}._src"))
+    taken = _taken(F.col(f"{word}.size"), F.col(f"{word}.key"), F.col(own))
+    added = {"size": F.col(f"{word}.size"), "source_size": F.col(f"{own}.source_size"), "target": F.col(f"{own}.target"), "taken": taken}
+    kept = [F.col(f"`{c}`") for c in docs.columns if c.lower() not in ADDED]
+    return rows.select(*kept, *[v.alias(k) for k, v in added.items()])
 
 
 def mix(docs: DataFrame, weights=(5, 2, 1), share=1.5, most=2.0, doc_id="doc_id", text="text", source="source") -> DataFrame:
     """All rows of ``docs`` with size, source_size, target and taken (words the mix takes, repeats counted)."""
     slim = cut(sized_documents(docs, doc_id, text, source), "mix-sizes")
-    cuts = source_cuts(slim, weights, share, most)
-    kept = docs.drop(*ADDED, "_src", "_key")
-    rows = kept.withColumns({"size": count_words(F.col(text)), "_src": _source_key(F.col(source)), "_key": _document_key(F.col(doc_id))})
-    return apply_cuts(rows, cuts)
+    return apply_cuts(docs, source_cuts(slim, weights, share, most), F.col(text), F.col(doc_id), F.col(source))
 
 
 def mix_report(docs: DataFrame, weights=(5, 2, 1), share=1.5, most=2.0) -> DataFrame:
     """doc_id, size, source_size, target, taken of every document; the texts are read once."""
     slim = cut(sized_documents(docs), "mix-sizes")
-    return apply_cuts(slim, source_cuts(slim, weights, share, most)).select("doc_id", *ADDED)
+    cuts = cut(source_cuts(slim, weights, share, most), "mix-cuts")
+    if cuts.count() <= BROADCAST_SOURCES:
+        cuts = F.broadcast(cuts)
+    own = F.struct(*cuts.columns)
+    rows = slim.join(cuts.select("_src", own.alias("_mix")), "_src")
+    return rows.select("doc_id", "size", "_mix.source_size", "_mix.target", _taken(F.col("size"), F.col("_key"), F.col("_mix")).alias("taken"))
 
 
 SQL = """
