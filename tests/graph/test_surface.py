@@ -12,7 +12,7 @@ def test_views_and_table_function(spark):
     g = G.micro(spark)
     register.register(spark, g, "m_")
     register.path_reduce(g, "min", "weight", 1, "m_dist")
-    assert spark.sql("SELECT count(*) FROM m_edges JOIN m_dist ON id = dst WHERE value IS NOT NULL").first()[0] == 7
+    assert spark.sql("SELECT count(*) FROM m_edges JOIN m_dist ON id = dst WHERE value IS NOT NULL").first()[0] == 8  # all edges but the loop of 6 end in a vertex that 1 reaches
     assert register.solve_text(g, "max over v of min length paths from 1", "m_ecc").first()[0] == 3
     rows = spark.sql("SELECT * FROM expand_paths('1>2,2>3,3>1', 1, 3)").collect()
     assert [(r[0], r[1]) for r in rows] == [(1, 0), (2, 1), (3, 2), (1, 3)]

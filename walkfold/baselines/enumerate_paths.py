@@ -19,4 +19,4 @@ def walks(graph, source: int, most_edges: int) -> DataFrame:
 
 def sssp(graph, source: int, most_edges: int) -> DataFrame:
     found = walks(graph, source, most_edges).groupBy("v").agg({"weight": "min"}).toDF("id", "dist")
-    return graph.vertices.join(found, "id", "left").select("id", "dist")
+    return graph.held_vertices().join(found, "id", "left").select("id", "dist")

@@ -12,10 +12,15 @@ from walkfold.exec.metrics import RunMetrics
 from walkfold.exec.models import observed
 
 
+def _edges(graph, columns: tuple[str, ...] = ()) -> DataFrame:
+    """What a program reads of the edges, kept by source."""
+    return cut(graph.held().select("src", "dst", *columns).repartition("src"))
+
+
 def _relax(graph, start: DataFrame, extend, best, better, columns: tuple[str, ...], metrics: RunMetrics | None, init_in_step: bool = False) -> DataFrame:
     """``init_in_step``: every vertex is active in the first step, as programs do that initialise inside it."""
     metrics = metrics if metrics is not None else RunMetrics()
-    edges = graph.prepared(columns)
+    edges = _edges(graph, columns)
     state = cut(start.withColumn("changed", F.lit(True)))
     changed, first = 1, True
     while changed:
@@ -23,7 +28,7 @@ def _relax(graph, start: DataFrame, extend, best, better, columns: tuple[str, ..
         sent, got = Observation(), Observation()
         active = state.where("changed").select("id", "v")
         if init_in_step and first:
-            active = graph.vertices.select("id").join(active, "id", "left")
+            active = graph.held_vertices().select("id").join(active, "id", "left")
         first = False
         messages = active.join(edges, F.col("id") == F.col("src")).observe(sent, F.count(F.lit(1)).alias("n")).select("dst", extend(F.col("v")).alias("m"))
         news = messages.groupBy("dst").agg(best(F.col("m")).alias("m"))
@@ -34,36 +39,37 @@ def _relax(graph, start: DataFrame, extend, best, better, columns: tuple[str, ..
         drop(state)
         state, changed = new, observed(got)
         metrics.add(observed(sent), changed, time.perf_counter() - at, "hand")
+    drop(edges)
     return state.select("id", "v")
 
 
 def _all(graph, found: DataFrame, name: str) -> DataFrame:
-    return graph.vertices.join(found, "id", "left").select("id", F.col("v").alias(name))
+    return graph.held_vertices().join(found, "id", "left").select("id", F.col("v").alias(name))
 
 
 def sssp(graph, source: int, metrics=None, **how) -> DataFrame:
-    start = graph.vertices.where(F.col("id") == source).select("id", F.lit(0).cast("long").alias("v"))
+    start = graph.held_vertices().where(F.col("id") == source).select("id", F.lit(0).cast("long").alias("v"))
     return _all(graph, _relax(graph, start, lambda v: v + F.col("weight"), F.min, lambda m, v: m < v, ("weight",), metrics, **how), "dist")
 
 
 def wp(graph, source: int, metrics=None, **how) -> DataFrame:
     """SSSP with another path function."""
     top = 2**63 - 1
-    start = graph.vertices.where(F.col("id") == source).select("id", F.lit(top).alias("v"))
+    start = graph.held_vertices().where(F.col("id") == source).select("id", F.lit(top).alias("v"))
     found = _relax(graph, start, lambda v: F.when(v.isNotNull(), F.least(v, F.col("capacity"))), F.max, lambda m, v: m > v, ("capacity",), metrics, **how)
     return _all(graph, found.withColumn("v", F.when(F.col("v") != top, F.col("v"))), "cap")
 
 
 def cc(graph, metrics=None, **how) -> DataFrame:
-    start = graph.vertices.select("id", F.col("id").alias("v"))
+    start = graph.held_vertices().select("id", F.col("id").alias("v"))
     return _all(graph, _relax(graph, start, lambda v: v, F.min, lambda m, v: m < v, (), metrics, **how), "component")
 
 
 def bfs(graph, source: int, metrics: RunMetrics | None = None) -> DataFrame:
     """Frontier by frontier: what was visited is left out by an anti-join; least parent on ties."""
     metrics = metrics if metrics is not None else RunMetrics()
-    edges = graph.prepared(())
-    seen = cut(graph.vertices.where(F.col("id") == source).select("id", F.lit(0).cast("long").alias("hops"), F.col("id").alias("parent")))
+    edges = _edges(graph)
+    seen = cut(graph.held_vertices().where(F.col("id") == source).select("id", F.lit(0).cast("long").alias("hops"), F.col("id").alias("parent")))
     hops, n = 0, 1
     while n:
         at = time.perf_counter()
@@ -76,14 +82,16 @@ def bfs(graph, source: int, metrics: RunMetrics | None = None) -> DataFrame:
         drop(seen)
         seen, n = new, observed(got)
         metrics.add(observed(sent), n, time.perf_counter() - at, "hand")
-    return graph.vertices.join(seen, "id", "left").select("id", "hops", "parent")
+    drop(edges)
+    return graph.held_vertices().join(seen, "id", "left").select("id", "hops", "parent")
 
 
 def pr(graph, gamma: float = 0.85, iters: int = 20, metrics: RunMetrics | None = None) -> DataFrame:
     metrics = metrics if metrics is not None else RunMetrics()
     n = graph.order()
-    edges = graph.prepared_with_degrees()
-    rank = cut(graph.vertices.select("id", F.lit(1.0 / n).alias("rank")))
+    edges = _edges(graph)
+    edges = cut(edges.join(edges.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg")), "src"))
+    rank = cut(graph.held_vertices().select("id", F.lit(1.0 / n).alias("rank")))
     for _ in range(iters):
         at = time.perf_counter()
         sent = Observation()
@@ -92,4 +100,5 @@ def pr(graph, gamma: float = 0.85, iters: int = 20, metrics: RunMetrics | None =
         drop(rank)
         rank = new
         metrics.add(observed(sent), n, time.perf_counter() - at, "hand")
+    drop(edges)
     return rank

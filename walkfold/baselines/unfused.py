@@ -14,8 +14,8 @@ def _tight(graph, source: int, by: str, metrics) -> tuple[DataFrame, Graph]:
     first = U.sssp(graph, source, metrics=metrics) if by == "weight" else U.hop_distance(graph, source, metrics=metrics).withColumnRenamed("hops", "dist")
     step = F.col("weight") if by == "weight" else F.lit(1)
     a, b = first.select(F.col("id").alias("src"), F.col("dist").alias("_a")), first.select(F.col("id").alias("dst"), F.col("dist").alias("_b"))
-    edges = graph.edges.join(a, "src").join(b, "dst").where(F.col("_a") + step == F.col("_b")).select(*graph.edges.columns)
-    return first, Graph(edges, graph.vertices, f"{graph.name}_tight")
+    edges = graph.held().join(a, "src").join(b, "dst").where(F.col("_a") + step == F.col("_b")).select(*graph.edges.columns)
+    return first, Graph(edges, graph.held_vertices(), f"{graph.name}_tight")
 
 
 def widest_shortest(graph, source: int, by: str = "length", metrics=None) -> DataFrame:

@@ -1,48 +1,100 @@
-"""Lineage cuts of loops: reliable checkpoints in the shared folder, old ones deleted."""
+"""Lineage cuts of loops: reliable checkpoints in the shared folder, old ones deleted.
+
+Plans of loops are made in a session of their own (``Quiet``) that shares the context with the caller's session but does
+not adapt plans at run time: only then does a checkpoint know how it is partitioned and sorted. The caller's settings are
+never touched, so its other queries are planned as before.
+"""
 
 from __future__ import annotations
 
-from contextlib import contextmanager
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share. Without one, only a local master gets a folder of its own."""
+    where = spark.conf.get("spark.checkpoint.dir", None)
+    if where:
+        return where.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return "file:///tmp/walkfold"
+
+
 def ensure_dir(spark: SparkSession) -> None:
-    """The cluster's folder if it names one, else one for tests."""
+    """The context's checkpoint folder, set from the shared one if it has none."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/walkfold-checkpoints")
+        sc.setCheckpointDir(shared_dir(spark))
 
 
-@contextmanager
-def static_plans(spark: SparkSession):
-    """Plans made inside are not adapted at run time: only then does a checkpoint know how it is partitioned."""
-    was = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
-    try:
-        yield
-    finally:
-        spark.conf.set("spark.sql.adaptive.enabled", was)
+class Quiet:
+    """A clone of a session without run-time adaptation; data frames move between the two by their logical plans."""
+
+    def __init__(self, spark: SparkSession) -> None:
+        self.outer = spark
+        self.inner = SparkSession(spark.sparkContext, spark._jsparkSession.cloneSession())
+        self.inner.conf.set("spark.sql.adaptive.enabled", "false")
+        # what is dealt alike is joined where it lies; only marked sides of a known size are broadcast
+        self.inner.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+
+    @staticmethod
+    def _move(df: DataFrame, to: SparkSession) -> DataFrame:
+        made = to._jvm.org.apache.spark.sql.classic.Dataset.ofRows(to._jsparkSession, df._jdf.queryExecution().logical())
+        return DataFrame(made, to)
+
+    def take(self, df: DataFrame) -> DataFrame:
+        return self._move(df, self.inner)
 
+    def give(self, df: DataFrame) -> DataFrame:
+        return self._move(df, self.outer)
 
-def cut(df: DataFrame, keep_partitioning: bool = False) -> DataFrame:
-    """An eager reliable checkpoint. With ``keep_partitioning`` later joins on the same key do not shuffle it."""
+
+def cut(df: DataFrame) -> DataFrame:
+    """An eager reliable checkpoint; in a quiet session it keeps the partitioning and order that its plan has."""
     ensure_dir(df.sparkSession)
-    if not keep_partitioning:
-        return df.checkpoint(eager=True)
-    with static_plans(df.sparkSession):
-        return df.checkpoint(eager=True)
+    return df.checkpoint(eager=True)
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    """A table in the shared folder: readers get its columns pruned and its statistics, and the lineage ends there."""
+    path = f"{shared_dir(df.sparkSession)}/walkfold/{name}-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    back = df.sparkSession.read.schema(df.schema).parquet(path)
+    back._walkfold_path = path
+    return back
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def drop(df: DataFrame | None) -> None:
-    """Delete the files of a checkpoint that nothing reads any more."""
+    """Delete the files of a checkpoint or written table that nothing reads any more."""
     if df is None:
         return
     spark = df.sparkSession
     try:
-        at = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
-        if at.isDefined():
-            path = spark._jvm.org.apache.hadoop.fs.Path(at.get())
-            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+        path = getattr(df, "_walkfold_path", None)
+        if path is None:
+            at = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
+            path = at.get() if at.isDefined() else None
+        if path is not None:
+            remove(spark, path)
     except Exception as e:  # a file that stays costs disk, not results
         print(f"walkfold: a checkpoint was not deleted: {str(e)[:200]}")
+
+
+def shuffled_records(df: DataFrame) -> int:
+    """Rows that the exchanges of a finished plan have written, after partial aggregation."""
+    total, todo = 0, [df._jdf.queryExecution().executedPlan()]
+    while todo:
+        node = todo.pop()
+        if node.nodeName() == "Exchange":
+            found = node.metrics().get("shuffleRecordsWritten")
+            total += found.get().value() if found.isDefined() else 0
+        under = node.children()
+        todo += [under.apply(i) for i in range(under.size())]
+    return total

@@ -1,4 +1,4 @@
-"""What a run costs: edges processed and vertices changed by step, seconds, data sizes."""
+"""What a run costs: edges processed and vertices changed by step, shuffled records, seconds, data sizes."""
 
 from __future__ import annotations
 
@@ -7,9 +7,12 @@ from dataclasses import dataclass, field
 
 @dataclass
 class RunMetrics:
+    """``count_records``: also read how many rows each step shuffled (after partial aggregation) from its finished plan."""
+
     steps: list[dict] = field(default_factory=list)
     vertex_bytes: int = 0
     edge_bytes: int = 0
+    count_records: bool = False
 
     def add(self, edges: int, changed: int, seconds: float, model: str, records: int = 0) -> None:
         self.steps.append({"step": len(self.steps) + 1, "edges": edges, "changed": changed, "seconds": seconds, "model": model, "records": records})

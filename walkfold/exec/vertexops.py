@@ -2,16 +2,16 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from functools import partial, reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from walkfold.exec import models
+from walkfold.exec import blocks, models
 from walkfold.exec.metrics import RunMetrics
 from walkfold.kernels.codec import shown
 from walkfold.spec.terms import BinOp, Factored, Lit, Rounds, Term, TripleLet, UnOp, Var, Vertex
-from walkfold.synth.conditions import admit
+from walkfold.synth.conditions import admit, certificate
 
 _MERGE = {"min": F.least, "max": F.greatest}
 
@@ -45,37 +45,56 @@ def expression(t: Term, env: dict[str, Column]) -> Column:
 def reduction(r: str, value: Column) -> Column:
     if r == "union":
         return F.array_sort(F.collect_set(value))
-    if r == "intersect":  # of the vertices' own singletons
+    if r == "intersect":  # of singletons: what all have in common
         return F.when(F.min(value) == F.max(value), F.array(F.min(value))).otherwise(F.array().cast("array<bigint>"))
     return {"min": F.min, "max": F.max, "sum": F.sum, "or": F.bool_or, "and": F.bool_and}[r](value)
 
 
+_RUN = {
+    "pull_nonidem": models.pull_nonidem,
+    "push_nonidem": models.push_nonidem,
+    "rollback": models.push_rollback,
+    "front": models.front,
+    "async_push": partial(blocks.async_block, direction="push"),
+    "async_pull": partial(blocks.async_block, direction="pull"),
+    "async_push_sum": partial(blocks.async_sum, direction="push"),
+    "async_pull_sum": partial(blocks.async_sum, direction="pull"),
+}
+
+
 def run_loop(graph, loop: tuple[Factored, ...], model: str, metrics: RunMetrics | None, max_iter: int | None) -> DataFrame:
-    """id and a column for each factored reduction of the loop."""
+    """id and a column for each factored reduction of the loop. What needs a front of trade-offs runs in a loop of its own."""
     kind = dict(graph.edges.dtypes).get("weight", "bigint")
     parts = tuple(models.Part(f.keys, f.source, "double" if kind in ("double", "float") else "long") for f in loop)
+    if len(parts) > 1:
+        alone = [i for i, p in enumerate(parts) if certificate(graph, p.keys, p.source).front or model.startswith("async")]
+        if alone:
+            rest = tuple(f for i, f in enumerate(loop) if i not in alone)
+            groups = [(loop[i],) for i in alone] + ([rest] if rest else [])
+            return reduce(lambda a, b: a.join(b, "id", "full_outer"), [run_loop(graph, x, model, metrics, max_iter) for x in groups])
     chosen = admit(graph, parts, model)
     if chosen in ("push", "pull", "auto"):
         state = models.push_idem(graph, parts, metrics, max_iter, direction=chosen)
     else:
-        state = {"pull_nonidem": models.pull_nonidem, "push_nonidem": models.push_nonidem, "rollback": models.push_rollback, "async": models.async_block}[chosen](graph, parts, metrics, max_iter=max_iter)
+        state = _RUN[chosen](graph, parts, metrics, max_iter=max_iter)
     columns = []
     for i, (p, f) in enumerate(zip(parts, loop, strict=True)):
         value = F.col(p.names(i)[-1])
         columns.append((shown(value) if p.keys[-1][1] == "capacity" else value).alias(f.name))
         if len(p.keys) > 1:
-            columns.append(F.col(p.names(i)[0]).alias(f"{f.name}_first"))
+            first = F.col(p.names(i)[0])
+            columns.append((shown(first) if p.keys[0][1] == "capacity" else first).alias(f"{f.name}_first"))
     return state.select("id", *columns)
 
 
 def solve_triple(graph, t: TripleLet, scalars: dict[str, Column], model: str = "auto", metrics: RunMetrics | None = None, max_iter: int | None = None, keep_firsts: bool = False, extra: DataFrame | None = None) -> DataFrame:
     """m: id and value of every vertex; r: one row with value. ``extra`` is a one-row table with earlier rounds' scalars."""
     states = [run_loop(graph, loop, model, metrics, max_iter) for loop in t.loops]
-    rows = reduce(lambda a, b: a.join(b, "id", "full_outer"), states) if states else graph.vertices
+    rows = reduce(lambda a, b: a.join(b, "id", "full_outer"), states) if states else graph.held_vertices()
     if not t.passes:
-        rows = graph.vertices.join(rows, "id", "left") if states else rows
+        rows = graph.held_vertices().join(rows, "id", "left") if states else rows
     elif not states:
-        rows = graph.vertices
+        rows = graph.held_vertices()
     if extra is not None:
         rows = rows.crossJoin(F.broadcast(extra))  # one row
     env = {f.name: F.col(f.name) for loop in t.loops for f in loop} | scalars

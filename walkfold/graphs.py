@@ -2,98 +2,196 @@
 
 from __future__ import annotations
 
+import weakref
+from dataclasses import dataclass
 from functools import reduce
 
+from pyspark import SparkContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkfold.exec.checkpoint import cut
+from walkfold.exec.checkpoint import Quiet, cut, drop, written
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: A source is a hub if it has over a fourth of an even partition's edges, and over this many: its edges are then dealt apart.
+HUB_LEAST = 1_000
+
+
+@dataclass
+class Dealt:
+    """Edges as a loop reads them: those of light sources dealt and sorted by src, those of hubs dealt by dst.
+
+    There are fewer than four hubs for each partition, so ``hubs`` and any one value for each of them can be broadcast.
+    """
+
+    lights: tuple[DataFrame, ...]
+    heavy: DataFrame | None = None
+    hubs: DataFrame | None = None
+
+    @property
+    def columns(self) -> list[str]:
+        return self.lights[0].columns
+
+    def all(self) -> DataFrame:
+        return reduce(DataFrame.unionByName, [*self.lights, *([self.heavy] if self.heavy is not None else [])])
+
+    def drop(self) -> None:
+        for df in (*self.lights, self.heavy, self.hubs):
+            drop(df)
+
+
 class Graph:
-    """Edges (src, dst, weight, capacity) and vertices (id). A graph is directed; ``symmetrise`` gives both ways."""
+    """Edges (src, dst, weight, capacity) and vertices (id). A graph is directed; ``symmetrise`` gives both ways.
 
-    def __init__(self, edges: DataFrame, vertices: DataFrame | None = None, name: str = "graph") -> None:
+    The edge plan is run once, when a loop first needs it, and kept as a table in the shared folder; that table and what
+    is dealt from it are deleted when the graph is no longer used. Results rest on vertices and final states alone.
+    """
+
+    def __init__(self, edges: DataFrame, vertices: DataFrame | None = None, name: str = "graph", hub_least: int = HUB_LEAST) -> None:
         missing = {"src", "dst"} - set(edges.columns)
         if missing:
             raise ValueError(f"an edge table needs {', '.join(sorted(missing))}")
-        self.edges, self.name = edges, name
+        self.edges, self.name, self.hub_least = edges, name, hub_least
         ids = edges.select(F.col("src").alias("id")).unionByName(edges.select(F.col("dst").alias("id")))
+        self._own_vertices = vertices is None
         self.vertices = vertices if vertices is not None else ids.distinct()
-        self._prepared: dict[tuple[str, ...], DataFrame] = {}
-        self._numbers: dict[str, object] = {}
+        self.quiet = Quiet(edges.sparkSession)
+        self._held: DataFrame | None = None
+        self._prepared: dict[tuple[str, ...], Dealt] = {}
+        self._numbers: dict[object, object] = {}
         self._vertices_cut = False
+        self._files: list = []
+        weakref.finalize(self, _drop_all, self._files)
+
+    def held(self) -> DataFrame:
+        """The edges as a written table."""
+        if self._held is None:
+            self._held = written(self.edges, "edges")
+            self._files.append(self._held)
+        return self._held
 
-    def _held_vertices(self) -> DataFrame:
+    def held_vertices(self) -> DataFrame:
         if not self._vertices_cut:
+            if self._own_vertices:
+                e = self.held()
+                self.vertices = e.select(F.col("src").alias("id")).unionByName(e.select(F.col("dst").alias("id"))).distinct()
             self.vertices, self._vertices_cut = cut(self.vertices), True
         return self.vertices
 
-    def prepared(self, columns: tuple[str, ...] = ()) -> DataFrame:
+    def prepared(self, columns: tuple[str, ...] = ()) -> Dealt:
         """src, dst and what the kernels read, dealt by src once: a step shuffles its frontier and never the edges."""
-        self._held_vertices()
         if columns not in self._prepared:
-            lacking = set(columns) - set(self.edges.columns)
+            degrees = {"outdeg", "indeg", "order"}
+            lacking = set(columns) - set(self.edges.columns) - degrees
             if lacking:
                 raise ValueError(f"the edges of {self.name} have no {', '.join(sorted(lacking))}")
-            self._prepared[columns] = cut(self.edges.select("src", "dst", *columns).repartition("src"), keep_partitioning=True)
+            edges = self.quiet.take(self.held()).select("src", "dst", *[c for c in columns if c not in degrees])
+            if "indeg" in columns:
+                edges = edges.join(edges.groupBy("dst").agg(F.count(F.lit(1)).alias("indeg")), "dst")
+            if "outdeg" in columns:
+                edges = edges.join(edges.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg")), "src")
+            if "order" in columns:
+                edges = edges.withColumn("order", F.lit(float(self.order())))
+            edges = edges.select("src", "dst", *columns)
+            parts = int(self.quiet.inner.conf.get("spark.sql.shuffle.partitions"))
+            most = max(self.hub_least, self.size() // (4 * parts))
+            hubs = cut(edges.groupBy("src").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most).select("src"))
+            if hubs.limit(1).count():
+                few = F.broadcast(hubs)  # under 4 rows for each partition
+                light, heavy = edges.join(few, "src", "left_anti"), cut(edges.join(few, "src", "left_semi").repartition("dst"))
+                dealt = Dealt((cut(light.repartition("src").sortWithinPartitions("src")),), heavy, hubs)
+            else:
+                drop(hubs)
+                dealt = Dealt((cut(edges.repartition("src").sortWithinPartitions("src")),))
+            self._prepared[columns] = dealt
+            self._files.append(dealt)
         return self._prepared[columns]
 
-    def prepared_with_degrees(self) -> DataFrame:
-        key = ("outdeg",)
-        if key not in self._prepared:
-            self._held_vertices()
-            edges = self.edges.select("src", "dst").repartition("src")
-            degree = edges.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg"))
-            self._prepared[key] = cut(edges.join(degree, "src"), keep_partitioning=True)
-        return self._prepared[key]
-
     def order(self) -> int:
         if "order" not in self._numbers:
-            self._numbers["order"] = self._held_vertices().count()
+            self._numbers["order"] = self.held_vertices().count()
         return self._numbers["order"]
 
+    def _measured(self) -> dict:
+        """Size, least and greatest values: one pass over the held edges."""
+        if "measured" not in self._numbers:
+            wanted = [c for c in ("weight", "capacity") if c in self.edges.columns]
+            ends = [F.max(F.greatest("src", "dst")).alias("id"), F.min(F.least("src", "dst")).alias("low"), F.count(F.lit(1)).alias("n")]
+            self._numbers["measured"] = self.held().agg(*[F.min(c).alias(f"lo_{c}") for c in wanted], *[F.max(c).alias(f"hi_{c}") for c in wanted], *ends).first().asDict()
+        return self._numbers["measured"]
+
     def size(self) -> int:
-        if "size" not in self._numbers:
-            self._numbers["size"] = self.edges.count()
-        return self._numbers["size"]
+        return self._measured()["n"]
 
     def bounds(self) -> tuple[int, int] | None:
         """Greatest path weight and greatest code of a second key; none if they cannot be told."""
         if "bounds" not in self._numbers:
-            wanted = [c for c in ("weight", "capacity") if c in self.edges.columns]
-            least = self.edges.agg(*[F.min(c).alias(f"lo_{c}") for c in wanted], *[F.max(c).alias(f"hi_{c}") for c in wanted], F.max(F.greatest("src", "dst")).alias("id"), F.min(F.least("src", "dst")).alias("low")).first()
-            low = [least["low"], *[least[f"lo_{c}"] for c in wanted]]
+            got = self._measured()
+            low = [v for k, v in got.items() if k == "low" or k.startswith("lo_")]
             whole = all(isinstance(x, int) and x >= 0 for x in low)
-            n = self.order()
-            self._numbers["bounds"] = (max(n, n * max(least.asDict().get("hi_weight") or 0, 1)), max(least["id"], least.asDict().get("hi_capacity") or 0)) if whole else None
+            n = self.order() if whole else 0
+            self._numbers["bounds"] = (max(n, n * max(got.get("hi_weight") or 0, 1)), max(got["id"], got.get("hi_capacity") or 0)) if whole else None
         return self._numbers["bounds"]
 
     def least_weight(self):
-        if "least_weight" not in self._numbers:
-            self._numbers["least_weight"] = self.edges.agg(F.min("weight")).first()[0] if "weight" in self.edges.columns else None
-        return self._numbers["least_weight"]
+        return self._measured().get("lo_weight")
+
+    def _peels(self, left: DataFrame) -> bool:
+        """Whether peeling vertices without incoming edges, round by round, leaves no edge."""
+        n, now = left.count(), None
+        while n:
+            ends = left.select(F.col("dst").alias("src")).distinct()
+            rest = cut(left.join(ends, "src", "left_semi"))
+            m = rest.count()
+            drop(now)
+            if m == n:
+                drop(rest)
+                return False
+            left, now, n = rest, rest, m
+        drop(now)
+        return True
 
     def is_acyclic(self) -> bool:
-        """Peel vertices without incoming edges until none is left, or none can be peeled."""
         if "acyclic" not in self._numbers:
-            left = self.prepared(())
-            n = left.count()
-            while n:
-                ends = left.select(F.col("dst").alias("src")).distinct()
-                rest = cut(left.join(ends, "src", "left_semi"))
-                m = rest.count()
-                if m == n:
-                    break
-                left, n = rest, m
-            self._numbers["acyclic"] = n == 0
+            self._numbers["acyclic"] = self._peels(self.held().select("src", "dst"))
         return self._numbers["acyclic"]
 
+    def _reached(self, source: int) -> DataFrame:
+        """The edges that leave what the source reaches, itself included."""
+        key = ("reached", source)
+        if key not in self._numbers:
+            from walkfold.exec import models
+
+            ids = models.push_idem(self, (models.Part((("or", "true"),), source),)).select(F.col("id").alias("src"))
+            found = cut(self.held().select("src", "dst").join(ids, "src", "left_semi"))
+            self._files.append(found)
+            self._numbers[key] = found
+        return self._numbers[key]
+
+    def source_on_cycle(self, source: int) -> bool:
+        """Whether a path leads from the source back to it."""
+        return not self._numbers.get("acyclic", False) and bool(self._reached(source).where(F.col("dst") == source).limit(1).count())
+
+    def acyclic_from(self, source: int) -> bool:
+        """Whether only finitely many paths start at the source: what it reaches has no cycle."""
+        key = ("acyclic", source)
+        if key not in self._numbers:
+            self._numbers[key] = self._numbers.get("acyclic", False) or self._peels(self._reached(source))
+        return self._numbers[key]
+
+
+def _drop_all(files: list) -> None:
+    """Called when a graph is garbage, or at the end of the program, when the context may be gone."""
+    if SparkContext._active_spark_context is None:
+        return
+    for x in files:
+        x.drop() if isinstance(x, Dealt) else drop(x)
+
 
 # -- preparation ---------------------------------------------------------------------------------------------------
 
@@ -125,12 +223,14 @@ def induced(edges: DataFrame, keep: Column) -> DataFrame:
 
 def unit(graph: Graph) -> Graph:
     """The unweighted variant: weight and capacity are 1."""
-    return Graph(graph.edges.select("src", "dst", F.lit(1).cast("long").alias("weight"), F.lit(1).cast("long").alias("capacity")), graph.vertices, f"{graph.name}_unit")
+    made = Graph(graph.held().select("src", "dst", F.lit(1).cast("long").alias("weight"), F.lit(1).cast("long").alias("capacity")), graph.held_vertices(), f"{graph.name}_unit")
+    made.rests_on = graph  # whose table must stay until this one's is written
+    return made
 
 
 def top_sources(graph: Graph, k: int) -> list[int]:
     """The k vertices with the most outgoing edges, ties by smaller id; k is a small parameter."""
-    rows = graph.edges.groupBy("src").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "src").limit(k).collect()
+    rows = graph.held().groupBy("src").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "src").limit(k).collect()
     return [r["src"] for r in rows]
 
 

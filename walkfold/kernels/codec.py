@@ -26,6 +26,16 @@ def unpack(packed: Column, second_max: bool) -> tuple[Column, Column]:
     return F.shiftright(packed, 32), (F.lit(HALF).cast("long") - code if second_max else code)
 
 
+def pack_sql(first: str, second: str, second_max: bool) -> str:
+    code = f"{HALF}L - {second}" if second_max else second
+    return f"CASE WHEN {first} IS NOT NULL AND {second} IS NOT NULL THEN shiftleft({first}, 32) + ({code}) END"
+
+
+def unpack_sql(packed: str, second_max: bool) -> tuple[str, str]:
+    code = f"({packed} & {2**32 - 1}L)"
+    return f"shiftright({packed}, 32)", f"({HALF}L - {code})" if second_max else code
+
+
 def shown(value: Column) -> Column:
     """The top capacity is shown as none."""
     return F.when(value != TOP, value)

@@ -1,28 +1,13 @@
-"""Ready kernels: for path functions, and for analyses that are stated by kernels alone."""
+"""Hand kernels: analyses that are stated by kernels alone. Those of path functions come from the synthesis."""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from walkfold.kernels.exprs import TOP, KExpr, call, edge, lit, slot
+from walkfold.kernels.exprs import KExpr, call, edge, lit, slot
 
 N = slot("n")
 
-#: What a path function is at a path without edges, and how an edge extends it.
-START: dict[str, KExpr] = {"length": lit(0), "weight": lit(0), "capacity": lit(TOP), "head": slot("id"), "penult": slot("id"), "one": lit(1), "true": lit(True)}
-EXTEND: dict[str, KExpr] = {
-    "length": call("+", N, lit(1)),
-    "weight": call("+", N, edge("weight")),
-    "capacity": call("min", N, edge("capacity")),
-    "head": N,
-    "penult": edge("src"),
-    "one": N,
-    "true": N,
-    "heavy": call("and", N, call(">", edge("weight"), lit(1))),
-}
-START["heavy"] = lit(True)
-
-
 @dataclass(frozen=True)
 class Kernels:
     """init, propagate, reduce (a name), epilogue and rollback of one slot."""
@@ -35,7 +20,7 @@ class Kernels:
 
 
 def sssp(source: int) -> Kernels:
-    return Kernels(call("if", call("=", slot("id"), lit(source)), lit(0), lit(None)), EXTEND["weight"], "min")
+    return Kernels(call("if", call("=", slot("id"), lit(source)), lit(0), lit(None)), call("+", N, edge("weight")), "min")
 
 
 def page_rank(gamma: float = 0.85) -> Kernels:

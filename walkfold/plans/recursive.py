@@ -3,10 +3,9 @@
 from __future__ import annotations
 
 from walkfold.kernels.exprs import to_sql
-from walkfold.kernels.library import EXTEND
 from walkfold.spec.terms import PathReduce
+from walkfold.synth.enumerate import derive, result_kind
 
-_START = {"length": "0", "weight": "0", "capacity": str(2**63 - 1), "head": "{v}", "penult": "{v}", "one": "1", "true": "TRUE", "heavy": "TRUE"}
 _AGG = {"min": "min", "max": "max", "or": "bool_or", "and": "bool_and", "sum": "sum"}
 
 
@@ -14,8 +13,10 @@ def to_recursive_sql(spec: PathReduce, edges: str = "edges", vertices: str = "ve
     """Rounds of (old rows and relaxed rows) grouped by vertex; the last round is read."""
     source = spec.paths.source
     v = "id" if source is None else str(source)
-    start = f"SELECT 0, {v}, {_START[spec.fn].format(v=v)}" + (f" FROM {vertices}" if source is None else "")
-    step = to_sql(EXTEND[spec.fn]).replace("weight", "e.weight").replace("capacity", "e.capacity").replace("src", "e.src")
+    made = derive(((spec.reduce, spec.fn),), sourced=False)
+    zero = to_sql(made.inits[0]).replace("id", v) if result_kind(spec.fn) != "bool" else "TRUE"
+    start = f"SELECT 0, {v}, {zero}" + (f" FROM {vertices}" if source is None else "")
+    step = to_sql(made.props[0]).replace("weight", "e.weight").replace("capacity", "e.capacity").replace("src", "e.src")
     return (
         f"WITH RECURSIVE t(k, id, n) AS ({start} UNION ALL SELECT k + 1, id, {_AGG[spec.reduce]}(n) FROM (SELECT k, id, n FROM t UNION ALL SELECT k, e.dst, {step} FROM t JOIN {edges} e ON e.src = t.id) x "
         f"WHERE k < {rounds} GROUP BY k, id) SELECT id, n AS value FROM t WHERE k = {rounds}"

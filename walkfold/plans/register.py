@@ -13,7 +13,7 @@ from walkfold.spec.terms import PathReduce, Paths
 def register(spark: SparkSession, graph, prefix: str = "") -> None:
     """Views <prefix>edges and <prefix>vertices, and the table function expand_paths."""
     graph.edges.createOrReplaceTempView(f"{prefix}edges")
-    graph.vertices.createOrReplaceTempView(f"{prefix}vertices")
+    graph.held_vertices().createOrReplaceTempView(f"{prefix}vertices")
     spark.udtf.register("expand_paths", expand_paths)
 
 

@@ -12,6 +12,8 @@ from walkfold.fuse.engine import fuse
 from walkfold.kernels.library import Kernels, page_rank as page_rank_kernels
 from walkfold.spec.terms import ArgPath, ArgsPaths, BinOp, Card, Lit, OverSources, PathReduce, Paths, SourcePaths, Term, Vertex, VertexReduce
 from walkfold.spec.types import typecheck
+from walkfold.kernels.exprs import to_column
+from walkfold.synth.conditions import admit_kernels
 
 # -- specifications ------------------------------------------------------------------------------------------------
 
@@ -24,6 +26,11 @@ def spec_wsp(source: int, by: str = "length") -> Term:
     return PathReduce("max", "capacity", ArgsPaths("min", by, Paths(source)))
 
 
+def spec_swp(source: int, by: str = "weight") -> Term:
+    """The shortest of the widest paths: its tuple does not distribute, so it runs on fronts of trade-offs."""
+    return PathReduce("min", by, ArgsPaths("max", "capacity", Paths(source)))
+
+
 def spec_nsp(source: int, by: str = "weight") -> Term:
     return Card(ArgsPaths("min", by, Paths(source)))
 
@@ -85,20 +92,16 @@ def _named(df: DataFrame, name: str) -> DataFrame:
     return df.select("id", F.col("value").alias(name))
 
 
-def _reached(df: DataFrame, name: str) -> DataFrame:
-    return _named(df, name)
-
-
 def sssp(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("min", "weight", source), **how), "dist")
+    return _named(solve(graph, spec_reduce("min", "weight", source), **how), "dist")
 
 
 def hop_distance(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("min", "length", source), **how), "hops")
+    return _named(solve(graph, spec_reduce("min", "length", source), **how), "hops")
 
 
 def connected_components(graph, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("min", "head"), **how), "component")
+    return _named(solve(graph, spec_reduce("min", "head"), **how), "component")
 
 
 def bfs_tree(graph, source: int, **how) -> DataFrame:
@@ -107,11 +110,11 @@ def bfs_tree(graph, source: int, **how) -> DataFrame:
 
 
 def widest_path(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("max", "capacity", source), **how), "cap")
+    return _named(solve(graph, spec_reduce("max", "capacity", source), **how), "cap")
 
 
 def narrowest_path(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("min", "capacity", source), **how), "cap")
+    return _named(solve(graph, spec_reduce("min", "capacity", source), **how), "cap")
 
 
 def widest_shortest(graph, source: int, by: str = "length", **how) -> DataFrame:
@@ -119,17 +122,22 @@ def widest_shortest(graph, source: int, by: str = "length", **how) -> DataFrame:
     return out.select("id", F.col("first").alias("dist"), F.col("value").alias("cap"))
 
 
+def shortest_widest(graph, source: int, by: str = "weight", **how) -> DataFrame:
+    out = solve(graph, spec_swp(source, by), keep_firsts=True, **how)
+    return out.select("id", F.col("first").alias("cap"), F.col("value").alias("dist"))
+
+
 def count_shortest(graph, source: int, by: str = "weight", **how) -> DataFrame:
     out = solve(graph, spec_nsp(source, by), keep_firsts=True, **how)
     return out.select("id", F.col("first").alias("dist"), F.col("value").alias("n"))
 
 
 def narrow_wide_ratio(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_nwr(source), **how), "ratio")
+    return _named(solve(graph, spec_nwr(source), **how), "ratio")
 
 
 def trust(graph, sources, **how) -> DataFrame:
-    return _reached(solve(graph, spec_trust(tuple(sources)), **how), "trust")
+    return _named(solve(graph, spec_trust(tuple(sources)), **how), "trust")
 
 
 def eccentricity(graph, source: int, **how) -> DataFrame:
@@ -157,20 +165,24 @@ def radius_trust_floor(graph, source: int, sources, distance: str = "length", **
 
 
 def reachable(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("or", "true", source), **how), "reached")
+    return _named(solve(graph, spec_reduce("or", "true", source), **how), "reached")
+
+
+def all_paths(graph, source: int, predicate: str = "weight>1", **how) -> DataFrame:
+    """Whether every path to a vertex has only edges for which a comparison of weight or capacity holds."""
+    return _named(solve(graph, spec_reduce("and", f"all:{predicate}", source), **how), "ok")
 
 
 def all_paths_heavy(graph, source: int, **how) -> DataFrame:
-    """Whether every path to a vertex has only edges of weight over 1."""
-    return _reached(solve(graph, spec_reduce("and", "heavy", source), **how), "ok")
+    return all_paths(graph, source, **how)
 
 
 def count_paths(graph, source: int, **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("sum", "one", source), **how), "n")
+    return _named(solve(graph, spec_reduce("sum", "one", source), **how), "n")
 
 
 def longest_path(graph, source: int | None = None, by: str = "length", **how) -> DataFrame:
-    return _reached(solve(graph, spec_reduce("max", by, source), **how), "len")
+    return _named(solve(graph, spec_reduce("max", by, source), **how), "len")
 
 
 def page_rank(graph, gamma: float = 0.85, tol: float | None = None, iters: int = 20, dangling: str = "drop", model: str = "pull", metrics=None) -> DataFrame:
@@ -178,5 +190,16 @@ def page_rank(graph, gamma: float = 0.85, tol: float | None = None, iters: int =
     return out.select("id", F.col("value").alias("rank"))
 
 
-def run_kernels(graph, kernels: Kernels, model: str = "pull", iters: int = 20, tol: float | None = None) -> DataFrame:
-    return models.fixed_point(graph, kernels, model, iters, tol)
+def run_kernels(graph, kernels: Kernels, model: str = "pull", iters: int = 20, tol: float | None = None, metrics: RunMetrics | None = None) -> DataFrame:
+    """Kernels without a specification: id, value.
+
+    A sum runs its epilogue for a number of rounds (or until it moves by no more than ``tol``). Any other reduction runs
+    to its fixed point, by push, pull or both, after its kernels were checked: the reduction's laws, and that propagation
+    distributes over it. Whether it stops is the caller's statement; a run that goes on after |V| + 1 steps is ended.
+    """
+    if kernels.reduce == "sum":
+        return models.fixed_point(graph, kernels, model, iters, tol, metrics)
+    admit_kernels(kernels)
+    part = models.Part(((kernels.reduce, "value"),), hand=kernels)
+    out = models.push_idem(graph, (part,), metrics, direction="auto" if model == "auto_switch" else model if model in ("push", "pull") else "push")
+    return out.select("id", to_column(kernels.epilogue, {"n": F.col("s0_0")}).alias("value"))
