@@ -343,6 +343,41 @@ def test_salvage_after_damage(packed):
     assert sum(x["length"] for x in found) == len(data)
 
 
+def test_gaps_inside_members_and_late_damage():
+    broken = bytearray(record(1))
+    broken[-8] ^= 0xFF
+    one = gzip.compress(record(0) + bytes(broken) + record(2))
+    found = list(warc.salvage(one))
+    assert [x["names"]["warc-record-id"] for x in found if "names" in x] == ["<urn:x:0>", "<urn:x:2>"]
+    (gap,) = [x for x in found if "reason" in x]
+    assert (gap["offset"], gap["length"], gap["inner_offset"], gap["inner_length"]) == (0, 0, len(record(0)), len(record(1)))
+    # incompressible bodies: what comes before the damage unpacks
+    big = [record(i, np.random.default_rng(i).integers(0, 256, 30_000, np.uint8).tobytes()) for i in range(4)]
+    member = bytearray(gzip.compress(b"".join(big)))
+    cut = bytes(member[: len(member) * 3 // 4])
+    found = list(warc.salvage(cut + gzip.compress(record(9))))
+    ids = [x["names"]["warc-record-id"] for x in found if "names" in x]
+    assert ids[:2] == ["<urn:x:0>", "<urn:x:1>"] and ids[-1] == "<urn:x:9>"
+    assert [(x["offset"], x["length"]) for x in found if "reason" in x] == [(0, len(cut))]
+
+
+def test_long_archive_of_many_members_is_read_in_one_pass():
+    data = b"".join(gzip.compress(record(i)) for i in range(20_000))
+    assert sum("names" in x for x in warc.salvage(data)) == 20_000
+
+
+def test_files_are_bounded_by_bytes(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(warc, "FILE_BYTES", 1 << 20)
+    monkeypatch.setattr(warc, "CLASSES", (8 << 10, 128 << 10, 1 << 20))
+    rows = [(i, f"http://a/{i}", chr(97 + i % 26) * (3_000_000 if i == 7 else 100_000 if i % 10 == 0 else 50 + i)) for i in range(200)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
+    warc.write_archive(warc.plan_records(df), str(tmp_path / "w"))
+    sizes = [f.stat().st_size for f in (tmp_path / "w").rglob("part-*")]
+    assert sorted(sizes)[-1] > 3_000_000 and sorted(sizes)[-2] <= 1 << 20
+    got = warc.read_archive(spark, str(tmp_path / "w")).where("gap_reason IS NULL").count()
+    assert got == 200
+
+
 # -- preferences ---------------------------------------------------------------------------------------------------
 
 

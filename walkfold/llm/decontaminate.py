@@ -1,13 +1,14 @@
 """Benchmark decontamination by a positional inverted index, with DataFrame operations only.
 
-1. The index is stored once in the shared folder: for every training text the postings of all its tokens (term, position),
-   sorted by term, so that a term's positions lie side by side. Any benchmark can be looked up in it.
+1. The index is stored once in the shared folder: the postings (term, text, position) of all tokens of all training texts.
+   It is dealt by text as the input is and sorted by term inside each part, so building it shuffles nothing, a term's
+   postings lie side by side there, and any benchmark can be looked up in it.
 2. Frequencies of the benchmark's terms come from the index. Windows with a term that no training text has cannot occur.
 3. Every other window of ``window`` consecutive item words is looked up from its rarest terms: the position lists of the
    two rarest are adjusted by the terms' offsets in the item and intersected, which leaves few diagonals (a text, an item,
    and the difference of their positions).
-4. On these, the lists of all the item's terms are adjusted and intersected with the text's postings. A window whose
-   words are all there is an exact phrase match, and all its words are hit.
+4. On these, the lists of all the item's terms are intersected: each diagonal asks for a posting of every term at its
+   adjusted position. A window whose words are all there is an exact phrase match, and all its words are hit.
 5. Proximity: texts where an item's rarest terms lie within ``SPAN`` words of each other (``n_near`` counts the items).
 
 Terms are 64-bit hashes in the index: among 10^8 terms two clash with a chance of about 0.0003. No set of terms
@@ -50,26 +51,19 @@ def item_words(benchmark: DataFrame) -> DataFrame:
     return items.withColumn("at", F.col("at") + 1).withColumn("h", F.xxhash64("term"))
 
 
-def positional_index(docs: DataFrame) -> DataFrame:
-    """One row for each row of ``docs``: _row, doc_id, _text (hash), n_words, postings (term hash, pos) sorted by term."""
-
-    def row(ws: Column) -> Column:
-        return F.struct(F.size(ws).cast("long").alias("n_words"), F.sort_array(F.transform(ws, lambda w, i: F.struct(F.xxhash64(w).alias("term"), (i + 1).alias("pos")))).alias("postings"))
-
-    # the lambda binds the words, so that they are cut once
-    bound = F.element_at(F.transform(F.array(words(F.col("text"))), row), 1)
-    rows = docs.select("doc_id", F.xxhash64("text").alias("_text"), bound.alias("_words")).select("doc_id", "_text", "_words.n_words", "_words.postings")
-    return rows.withColumn("_row", F.monotonically_increasing_id())
+#: A text is known by its doc_id and this hash; rows that repeat both share their postings.
+TEXT = ("doc_id", "_text")
 
 
-def postings(index: DataFrame) -> DataFrame:
-    """_row, h, pos: the index one posting a row."""
-    return index.select("_row", F.inline("postings").alias("h", "pos"))
+def positional_index(docs: DataFrame) -> DataFrame:
+    """h (term hash), doc_id, _text, pos: one row for each token, sorted by term in each part."""
+    rows = docs.select("doc_id", F.xxhash64("text").alias("_text"), F.posexplode(words(F.col("text"))).alias("pos", "term"))
+    return rows.select(F.xxhash64("term").alias("h"), "doc_id", "_text", (F.col("pos") + 1).alias("pos")).sortWithinPartitions("h", "_text", "pos")
 
 
 def term_frequencies(index: DataFrame, terms: DataFrame) -> DataFrame:
     """h, df: occurrences in the training texts of those of ``terms`` that occur."""
-    return index.select(F.explode("postings.term").alias("h")).join(_small(terms), "h").groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+    return index.select("h").join(_small(terms), "h").groupBy("h").agg(F.count(F.lit(1)).alias("df"))
 
 
 def windows(items: DataFrame, frequencies: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -83,43 +77,43 @@ def windows(items: DataFrame, frequencies: DataFrame, window: int = WINDOW) -> D
 
 
 def diagonals(index: DataFrame, wins: DataFrame) -> DataFrame:
-    """_row, _item, diag: where the adjusted lists of a window's two rarest terms meet (pos = at + diag for both)."""
+    """doc_id, _text, _item, diag: where the adjusted lists of a window's two rarest terms meet (pos = at + diag for both)."""
     looked = wins.select("_item", F.inline("rare").alias("_df", "at", "h")).select("_item", "at", "h").distinct()
-    met = postings(index).join(_small(looked), "h").select("_row", "_item", (F.col("pos") - F.col("at")).alias("diag"), "at")
-    met = met.groupBy("_row", "_item", "diag").agg(F.collect_set("at").alias("ats"))
+    met = index.join(_small(looked), "h").select(*TEXT, "_item", (F.col("pos") - F.col("at")).alias("diag"), "at")
+    met = met.groupBy(*TEXT, "_item", "diag").agg(F.collect_set("at").alias("ats"))
     pairs = wins.select("_item", F.col("rare.at").alias("_pair")).distinct()
     met = met.join(_small(pairs), "_item").where(F.size(F.array_except("_pair", "ats")) == 0)
-    return met.select("_row", "_item", "diag").distinct()
+    return met.select(*TEXT, "_item", "diag").distinct()
+
+
+def _same_text(a: DataFrame, b: DataFrame) -> Column:
+    return a["doc_id"].eqNullSafe(b["_d"]) & (a["_text"] == b["_t"])
 
 
 def phrase_matches(index: DataFrame, items: DataFrame, found: DataFrame, window: int = WINDOW) -> DataFrame:
-    """_row, item_id, places: exact occurrences of an item's windows on these diagonals, as the hit positions."""
-    lists = items.groupBy("_item", "item_id", "n").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", "h"))), lambda x: x["h"]).alias("hs"))
-    found = cut(found.join(_small(lists), "_item"), "decon-diagonals")
-    here = index.select("_row", F.transform("postings", lambda p: F.xxhash64(p["term"], p["pos"])).alias("codes"))
-    met = here.join(_small(found, 10 * BROADCAST_ROWS), "_row")
-    at = F.sequence(F.lit(1), F.col("n"))
-    # the offset-adjusted lists of all terms at once: which (term, position) the text has of those that the item would need
-    wanted = F.transform(at, lambda i: F.xxhash64(F.element_at("hs", i), i + F.col("diag")))
-    met = met.select("_row", "item_id", "diag", "n", wanted.alias("wanted"), F.array_intersect(wanted, "codes").alias("there"))
-    met = met.withColumn("there", F.filter(at, lambda i: F.array_contains("there", F.element_at("wanted", i))))
+    """doc_id, _text, item_id, places: exact occurrences of an item's windows on these diagonals, as the hit positions."""
+    asked = found.join(_small(items.select("_item", "item_id", "n", "at", "h")), "_item")
+    asked = asked.select(F.col("doc_id").alias("_d"), F.col("_text").alias("_t"), "item_id", "_item", "n", "diag", "at", F.col("h").alias("_h"), (F.col("at") + F.col("diag")).alias("_pos"))
+    asked = _small(cut(asked, "decon-asked"), 10 * BROADCAST_ROWS)
+    met = index.join(asked, (index["h"] == asked["_h"]) & (index["pos"] == asked["_pos"]) & _same_text(index, asked))
+    met = met.groupBy(*TEXT, "item_id", "_item", "n", "diag").agg(F.collect_set("at").alias("there"))
     need = F.least(F.col("n"), F.lit(window))
     starts = F.filter("there", lambda s: (s + need - 1 <= F.col("n")) & (F.size(F.filter("there", lambda i: (i >= s) & (i < s + need))) == need))
     met = met.withColumn("starts", starts).where(F.size("starts") > 0)
     places = F.array_distinct(F.flatten(F.transform("starts", lambda s: F.sequence(s + F.col("diag"), s + F.col("diag") + need - 1))))
-    return met.select("_row", "item_id", places.alias("places"))
+    return met.select(*TEXT, "item_id", places.alias("places"))
 
 
 def near_matches(index: DataFrame, items: DataFrame, frequencies: DataFrame, terms: int = NEAR_TERMS, span: int = SPAN) -> DataFrame:
-    """_row, item_id: texts that hold an item's ``terms`` rarest known terms within ``span`` words of its rarest one."""
+    """doc_id, _text, item_id: texts that hold an item's ``terms`` rarest known terms within ``span`` words of its rarest one."""
     known = items.select("item_id", "term", "h").distinct().join(frequencies, "h")
     rare = known.groupBy("item_id").agg(F.slice(F.sort_array(F.collect_set(F.struct("df", "term", "h"))), 1, terms).alias("_t")).where(F.size("_t") == terms)
     rare = cut(rare.select("item_id", F.posexplode("_t.h").alias("rank", "h")), "near-terms")
-    lists = postings(index).join(_small(rare), "h").groupBy("_row", "item_id", "rank").agg(F.collect_list("pos").alias("at"))
-    met = lists.groupBy("_row", "item_id").agg(F.collect_list(F.struct("rank", "at")).alias("_m")).where(F.size("_m") == terms)
+    lists = index.join(_small(rare), "h").groupBy(*TEXT, "item_id", "rank").agg(F.collect_set("pos").alias("at"))
+    met = lists.groupBy(*TEXT, "item_id").agg(F.collect_list(F.struct("rank", "at")).alias("_m")).where(F.size("_m") == terms)
     by_rank = F.transform(F.sort_array("_m"), lambda x: x["at"])
     near = F.exists(by_rank[0], lambda p: F.forall(by_rank, lambda more: F.exists(more, lambda q: F.abs(p - q) <= span)))
-    return met.where(near).select("_row", "item_id")
+    return met.where(near).select(*TEXT, "item_id")
 
 
 def _looked_up(docs: DataFrame, benchmark: DataFrame, window: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
@@ -135,10 +129,13 @@ def _looked_up(docs: DataFrame, benchmark: DataFrame, window: int) -> tuple[Data
 def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, n_near of every row."""
     index, items, frequencies, found = _looked_up(docs, benchmark, window)
-    per = found.groupBy("_row").agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).cast("long").alias("n_hit"), F.sort_array(F.collect_set("item_id")).alias("items"))
-    near = near_matches(index, items, frequencies).groupBy("_row").agg(F.count(F.lit(1)).alias("n_near"))
-    per = cut(per.join(near, "_row", "full_outer"), "decon-rows")
-    out = index.select("_row", "doc_id", "n_words").join(_small(per, 10 * BROADCAST_ROWS), "_row", "left")
+    per = found.groupBy(*TEXT).agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).cast("long").alias("n_hit"), F.sort_array(F.collect_set("item_id")).alias("items"))
+    near = near_matches(index, items, frequencies).groupBy(*TEXT).agg(F.count(F.lit(1)).alias("n_near")).withColumnsRenamed({"doc_id": "_d", "_text": "_t"})
+    both = per.join(near, _same_text(per, near), "full_outer")
+    both = both.select(F.coalesce("doc_id", "_d").alias("_d"), F.coalesce("_text", "_t").alias("_t"), "n_hit", "items", "n_near")
+    both = _small(cut(both, "decon-rows"), 10 * BROADCAST_ROWS)
+    rows = docs.select("doc_id", F.xxhash64("text").alias("_text"), F.size(words(F.col("text"))).cast("long").alias("n_words"))
+    out = rows.join(both, _same_text(rows, both), "left")
     named = F.coalesce("items", F.array().cast("array<string>"))
     none = F.lit(0).cast("long")
     n_hit = F.coalesce("n_hit", none)
@@ -147,10 +144,9 @@ def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFra
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """The rows of ``docs``, all columns, without a phrase of the benchmark."""
-    index, _, _, found = _looked_up(docs, benchmark, window)
+    found = _looked_up(docs, benchmark, window)[3]
     ident, mark = unused(docs.columns, "_id"), unused(docs.columns, "_hash")
-    rows = index.select("_row", F.col("doc_id").alias(ident), F.col("_text").alias(mark)).join(_small(found.select("_row").distinct(), 10 * BROADCAST_ROWS), "_row", "left_semi")
-    bad = _small(cut(rows.select(ident, mark).distinct(), "decon-bad"), 10 * BROADCAST_ROWS)
+    bad = _small(cut(found.select(F.col("doc_id").alias(ident), F.col("_text").alias(mark)).distinct(), "decon-bad"), 10 * BROADCAST_ROWS)
     return docs.join(bad, docs["doc_id"].eqNullSafe(bad[ident]) & (F.xxhash64(docs["text"]) == bad[mark]), "left_anti")
 
 
@@ -159,8 +155,7 @@ def proximity_matches(docs: DataFrame, benchmark: DataFrame, terms: int = NEAR_T
     items = cut(item_words(benchmark), "near-items")
     index = cut(positional_index(docs), "near-index")
     frequencies = cut(term_frequencies(index, items.select("h").distinct()), "near-frequencies")
-    found = near_matches(index, items, frequencies, terms, span)
-    return index.select("_row", "doc_id").join(found, "_row").select("doc_id", "item_id").distinct()
+    return near_matches(index, items, frequencies, terms, span).select("doc_id", "item_id").distinct()
 
 
 _W = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"

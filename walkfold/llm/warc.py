@@ -5,9 +5,11 @@ two line ends after it, so the files are ordinary uncompressed WARC on any file
 that Spark writes. Records with equal payloads: the one with the largest page_id is a
 response; others are revisits whose HTTP head still states the full payload's length and digest.
 
-Reading takes whole files (the writer bounds their records) and checks every record:
+Reading takes whole files (the writer bounds their bytes: pages of one size class share a file) and checks every record:
 version line, header, length, closing line ends, block digest. After a failed check it searches for
-the next gzip member or version line that yields a valid record, and logs the bytes between as a gap.
+the next gzip member or version line that yields a valid record, and logs the bytes between as a gap. Of a damaged gzip
+member, what unpacks before the damage is salvaged too; gaps inside a member are logged with the member's offset, no
+length of their own in the file, and their place in the unpacked bytes.
 
 Defined cases: null html is an empty payload; a null url is written as an empty URI;
 a null page_id comes below all others; rows that repeat the largest page_id of a
@@ -35,8 +37,11 @@ CRLF = "\r\n"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 #: A hot payload's rows are dealt over so many parts.
 SALTS = 32
-#: Most records in a file, so that a file fits a task.
-FILE_RECORDS = 4000
+#: Most bytes of a file, so that a file fits a task. A record of over a class's bytes belongs to a later class, and a class
+#: puts as many records in a file as fit; a record of over the last class's bytes has a file of its own.
+FILE_BYTES = 256 << 20
+CLASSES = (64 << 10, 1 << 20, 16 << 20, FILE_BYTES)
+HEAD_BYTES = 1 << 10
 
 
 def base32_of_hex(hexed: Column) -> Column:
@@ -84,9 +89,19 @@ def write_archive(plan: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z"
         F.lit(CRLF),
         F.col("_block"),
     )
-    rows.select(record.alias("value")).write.option("lineSep", CRLF * 2).option("compression", compression).option("maxRecordsPerFile", FILE_RECORDS).text(path)
-
-
+    size = F.col("payload_bytes") + F.octet_length(F.coalesce("url", F.lit(""))) + HEAD_BYTES
+    least = F.lit(len(CLASSES))
+    for k, most in reversed(list(enumerate(CLASSES))):
+        least = F.when(size <= most, F.lit(k)).otherwise(least)
+    present = sorted(r[0] for r in plan.select(least.alias("k")).distinct().collect())  # five numbers at most
+    for k in present or [0]:  # an empty table writes an empty folder
+        records = max(1, FILE_BYTES // CLASSES[k]) if k < len(CLASSES) else 1
+        out = rows.where(least == k).select(record.alias("value"))
+        out.write.option("lineSep", CRLF * 2).option("compression", compression).option("maxRecordsPerFile", records).text(f"{path}/class={k}")
+
+
+#: Bytes of a gzip member that are unpacked at a time.
+FED = 64 << 10
 _START = re.compile(rb"WARC/1\.[01]\r\n|\x1f\x8b\x08")
 _LENGTH = re.compile(rb"content-length:\s*(\d+)", re.I)
 
@@ -123,35 +138,44 @@ def _record_at(data: bytes, at: int) -> tuple[dict | None, int, str]:
 
 
 def _member_at(data: bytes, at: int) -> tuple[list[dict], int, str]:
-    """(records, position after, reason) of the gzip member at ``at``."""
-    worker = zlib.decompressobj(31)
+    """(records and inner gaps, position after, reason) of the gzip member at ``at``; a damaged one ends where it began."""
+    worker, view, parts, fed = zlib.decompressobj(31), memoryview(data), [], at
+    reason = "truncated"
     try:
-        plain = worker.decompress(data[at:])
+        while fed < len(data) and not worker.eof:  # piece by piece: what is left of the file is never copied
+            parts.append(worker.decompress(view[fed : fed + FED]))
+            fed += min(FED, len(data) - fed)
     except zlib.error:
-        return [], at, "damaged member"
-    if not worker.eof:
-        return [], at, "truncated"
-    found = [x for x in salvage(plain) if "names" in x]
-    return found, len(data) - len(worker.unused_data), "" if found else "member without record"
+        reason = "damaged member"
+    found = list(salvage(b"".join(parts)))
+    whole = worker.eof
+    records = [x for x in found if "names" in x]
+    inner = [{"reason": x["reason"], "inner_offset": x["offset"], "inner_length": x["length"]} for x in found if "reason" in x]
+    if whole:
+        return (records + inner if records else []), fed - len(worker.unused_data), "" if records else "member without record"
+    return records, at, reason
 
 
 def salvage(data: bytes) -> Iterator[dict]:
     """Records ({names, block, offset, length}) and gaps ({reason, offset, length}) of an archive's bytes, in order."""
     at, gap, why = 0, None, ""
     while at < len(data):
-        if data.startswith(b"\x1f\x8b", at):
+        packed = data.startswith(b"\x1f\x8b", at)
+        if packed:
             records, after, reason = _member_at(data, at)
         else:
             record, after, reason = _record_at(data, at)
             records = [record] if record else []
-        if records:
+        if records and after > at:
             if gap is not None:
                 yield {"reason": why, "offset": gap, "length": at - gap}
                 gap = None
             for record in records:
-                yield record | {"offset": at, "length": after - at}
+                yield record | {"offset": at, "length": after - at if "names" in record else 0}
             at = after
             continue
+        for record in records:  # of a damaged member: its bytes are a gap all the same
+            yield record | {"offset": at, "length": 0}
         if gap is None:
             gap, why = at, reason
         following = _START.search(data, at + 1)
