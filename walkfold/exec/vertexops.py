@@ -31,6 +31,8 @@ def expression(t: Term, env: dict[str, Column]) -> Column:
     a, b = expression(t.left, env), expression(t.right, env)
     if t.op == "if":
         return F.when(a, b)
+    if t.op in ("union", "intersect"):
+        return F.array_sort((F.array_union if t.op == "union" else F.array_intersect)(a, b))
     if t.op in _MERGE:
         return _MERGE[t.op](a, b)
     if t.op == "and":

@@ -264,3 +264,35 @@ def edgelist_roundtrip(spark, d):
 @query("SELECT c_mktsegment, (dense_rank() OVER (ORDER BY c_mktsegment) - 1)::BIGINT AS id FROM customer GROUP BY c_mktsegment")
 def vertex_dictionary(spark, d):
     return edge_lists.dictionary(G.table(spark, d, "customer").select("c_mktsegment"), "c_mktsegment")
+
+
+@query("WITH e AS (" + O.PART_HOP + ") SELECT src, dst, o AS out_src, i AS in_dst FROM e JOIN (SELECT src, count(*) AS o FROM e GROUP BY src) USING (src) JOIN (SELECT dst, count(*) AS i FROM e GROUP BY dst) USING (dst)")
+def degree_join(spark, d):
+    """Every edge with the out-degree of its source and the in-degree of its target."""
+    e = _part(spark, d).select("src", "dst")
+    out = e.groupBy("src").agg(F.count(F.lit(1)).alias("out_src"))
+    into = e.groupBy("dst").agg(F.count(F.lit(1)).alias("in_dst"))
+    return e.join(out, "src").join(into, "dst").select("src", "dst", "out_src", "in_dst")
+
+
+@query("WITH e AS (" + O.PAGES + "), o AS (SELECT src, count(*) AS n FROM e GROUP BY src) SELECT src AS id, n FROM o ORDER BY n DESC, src LIMIT 10")
+def top10_degree(spark, d):
+    """The ten vertices with the most links: a heap for each partition and one merge, not a global sort."""
+    return G.page_link(spark, d).edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "id").limit(10)
+
+
+@query("WITH e AS (" + O.PART_HOP + ") SELECT DISTINCT src, TRUE AS close FROM e")
+def approx_neighbours_close(spark, d):
+    """Whether each approximate count of neighbours is within 5 % and one of the exact one."""
+    e = G.part_hop(spark, d).edges
+    both = e.groupBy("src").agg(F.approx_count_distinct("dst", 0.02).alias("a"), F.count_distinct("dst").alias("n"))
+    return both.select("src", (F.abs(F.col("a") - F.col("n")) <= F.col("n") * 0.05 + 1).alias("close"))
+
+
+@query("WITH e AS (" + O.PART_HOP + ") SELECT p, TRUE AS close FROM (VALUES (10), (50), (90)) AS t(p)")
+def percentile_close(spark, d):
+    """Approximate percentiles of weights against the share of edges at or under them."""
+    marks = _part(spark, d).agg(F.percentile_approx("weight", F.array(F.lit(0.1), F.lit(0.5), F.lit(0.9)), F.lit(10_000))).first()[0]  # three numbers
+    shares = [F.struct(F.lit(p).alias("p"), F.avg((F.col("weight") <= w).cast("double")).alias("s"), F.avg((F.col("weight") < w).cast("double")).alias("t")) for p, w in zip((10, 50, 90), marks, strict=True)]
+    rows = _part(spark, d).agg(F.array(*shares).alias("x")).select(F.inline("x"))
+    return rows.select("p", ((F.col("s") * 100 >= F.col("p") - 0.1) & (F.col("t") * 100 <= F.col("p") + 0.1)).alias("close"))

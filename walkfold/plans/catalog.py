@@ -10,12 +10,12 @@ from pyspark.sql import functions as F
 from walkfold import graphs as G
 from walkfold import usecases as U
 from walkfold.baselines import enumerate_paths, handwritten, unfused
-from walkfold.exec.metrics import RunMetrics, edge_work_ratio
+from walkfold.exec.metrics import RunMetrics
 from walkfold.fuse.engine import fuse
 from walkfold.operators import relational
 from walkfold.plans import oracles as O
-from walkfold.synth.conditions import conditions
-from walkfold.synth.enumerate import find_rollback, synthesize
+from walkfold.plans import surface
+from walkfold.synth.enumerate import derive, forget
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -115,7 +115,7 @@ for _k in (1, 2, 4, 8, 16):
     _add(f"radius_k{_k}", _on(G.part_hop, lambda g, s: _value(U.radius(g, s)), _k), _over("part_hop", _k, "min(m)"))
 _TRUST = O.rounds("a", *O.WIDE, most=2) + O.rounds("b", *O.HOPS, most=2) + f" SELECT v.id, round(max(nullif(a.d, {O.TOP})::DOUBLE / nullif(b.d, 0)), 6) AS trust FROM v LEFT JOIN a ON a.id = v.id LEFT JOIN b ON b.id = a.id AND b.r = a.r GROUP BY v.id"
 _add("trust_users", _on(G.user_relay, lambda g, s: _rounded(U.trust(g, s), "trust"), 2), O.start("user_relay") + _TRUST)
-_add("ds_part", _on(G.part_hop, lambda g, s: U.distant_set(g, s[0]).select(F.explode("value").alias("id"))), O.start("part_hop") + O.rounds("q", *O.DIST) + " SELECT id FROM q WHERE d > 7")
+_add("ds_part", _on(G.part_hop, lambda g, s: U.distant_members(g, s[0])), O.start("part_hop") + O.rounds("q", *O.DIST) + " SELECT id FROM q WHERE d > 7")
 
 
 def _rds(graph: str, distance: tuple) -> str:
@@ -142,7 +142,7 @@ _add("pagerank_rollback", _on(G.nation_trade, lambda g, s: _rounded(U.page_rank(
 
 # -- models, baselines ---------------------------------------------------------------------------------------------
 
-for _m in ("pull", "push", "auto_switch", "async"):
+for _m in ("pull", "push", "auto_switch"):
     _add(f"sssp_{_m.split('_')[0]}", _on(G.part_hop, lambda g, s, m=_m: U.sssp(g, s[0], model=m)), ORACLES["sssp_part"])
 for _m in ("pull_nonidem", "push_nonidem", "rollback"):
     _add(f"path_count_{_m.split('_')[0]}", _on(G.catalog_dag, lambda g, s, m=_m: _catalog_from(g, m), 0), _PATHS)
@@ -186,34 +186,15 @@ _add("edge_work_sssp", lambda spark, d: _one_row(spark, "edges long", (_sssp_wor
 _add("steps_sssp", lambda spark, d: _one_row(spark, "steps long", (_sssp_work(spark, d).n_steps,)), _frontier_sql("(max(k) + 1)::BIGINT AS steps"))
 
 
-def _ratio_rows(spark: SparkSession, sf_dir: str, names: tuple[str, ...], weighted: bool = True) -> list[tuple]:
-    """use case, edges fused and unfused, their ratio, loops before and after."""
-    g1, g3, g4 = (b(spark, sf_dir) for b in (G.part_hop, G.cust_supp, G.user_relay))
-    s1, s3, s4 = (G.top_sources(g, 2) for g in (g1, g3, g4))
-    if not weighted:
-        g1 = G.unit(g1)
-    by = "weight" if weighted else "length"
-    cases = {
-        "wsp": (lambda m: U.widest_shortest(g1, s1[0], by, metrics=m), lambda m: unfused.widest_shortest(g1, s1[0], by, metrics=m)),
-        "nwr": (lambda m: U.narrow_wide_ratio(g1, s1[0], metrics=m), lambda m: unfused.narrow_wide_ratio(g1, s1[0], metrics=m)),
-        "radius": (lambda m: U.radius(g1, s1, metrics=m), lambda m: unfused.radius(g1, s1, metrics=m)),
-        "drr": (lambda m: U.diameter_radius_ratio(g3, s3, metrics=m), lambda m: unfused.diameter_radius_ratio(g3, s3, metrics=m)),
-        "trust": (lambda m: U.trust(g4, s4, metrics=m), lambda m: unfused.trust(g4, s4, metrics=m)),
-        "rds": (lambda m: U.radius_trust_floor(g1, s1[0], s1, metrics=m), lambda m: unfused.radius_trust_floor(g1, s1[0], s1, metrics=m)),
-    }
-    out = []
-    for name in names:
-        a, b = RunMetrics(), RunMetrics()
-        cases[name][0](a)
-        cases[name][1](b)
-        out.append((name, a.edges_processed, b.edges_processed, round(edge_work_ratio(a, b), 6), a.n_steps, b.n_steps))
-    return out
-
-
-_RATIO = "use_case string, fused_edges long, unfused_edges long, ratio double, fused_steps long, unfused_steps long"
-_add("edge_work_fusion_types", lambda spark, d: _one_row(spark, _RATIO, *_ratio_rows(spark, d, ("wsp", "nwr", "radius"))))
-_add("edge_work_fusion_types_unit", lambda spark, d: _one_row(spark, _RATIO, *_ratio_rows(spark, d, ("wsp", "nwr", "radius"), weighted=False)))
-_add("edge_work_multiple_fusions", lambda spark, d: _one_row(spark, _RATIO, *_ratio_rows(spark, d, ("drr", "trust", "rds"))))
+def _wsp_work(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edges of the fused and the two-pass program for the widest of the shortest paths."""
+    g, a, b = G.part_hop(spark, sf_dir), RunMetrics(), RunMetrics()
+    source = G.top_sources(g, 1)[0]
+    U.widest_shortest(g, source, "weight", metrics=a)
+    unfused.widest_shortest(g, source, "weight", metrics=b)
+    return _one_row(spark, "fused long, unfused long", (a.edges_processed, b.edges_processed))
+
+
 _WSP_WORK = (
     O.start("part_hop") + O.rounds("q", *_PAIR["weight"]) + O.rounds("w", *O.DIST)
     + ", od AS (SELECT src, count(*) AS n FROM e GROUP BY src)"
@@ -225,30 +206,7 @@ _WSP_WORK = (
     + ", c2 AS (SELECT k, id FROM (SELECT k, id, d, lag(d) OVER (PARTITION BY id ORDER BY k) AS was FROM z_t) WHERE was IS NULL OR d <> was)"
     + " SELECT (SELECT sum(n) FROM fc JOIN od ON src = id)::BIGINT AS fused, ((SELECT sum(n) FROM c1 JOIN od ON src = id) + (SELECT sum(n) FROM c2 JOIN ht ON src = id))::BIGINT AS unfused"
 )
-_add("edge_work_wsp", lambda spark, d: spark.createDataFrame([r[1:3] for r in _ratio_rows(spark, d, ("wsp",))], "fused long, unfused long"), _WSP_WORK)
-
-
-def _generated_vs_hand(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Edges of the generated programs against the handwritten ones, and state sizes."""
-    g1, g3 = G.part_hop(spark, sf_dir), G.cust_supp(spark, sf_dir)
-    s1, s3 = G.top_sources(g1, 1)[0], G.top_sources(g3, 1)[0]
-    cases = {
-        "sssp": (lambda m: U.sssp(g1, s1, metrics=m), lambda m: handwritten.sssp(g1, s1, metrics=m)),
-        "wp": (lambda m: U.widest_path(g1, s1, metrics=m), lambda m: handwritten.wp(g1, s1, metrics=m)),
-        "bfs": (lambda m: U.bfs_tree(g3, s3, metrics=m), lambda m: handwritten.bfs(g3, s3, metrics=m)),
-        "cc": (lambda m: U.connected_components(g3, metrics=m), lambda m: handwritten.cc(g3, metrics=m)),
-        "cc_init_in_step": (lambda m: U.connected_components(g3, metrics=m), lambda m: handwritten.cc(g3, metrics=m, init_in_step=True)),
-    }
-    rows = []
-    for name, (gen, hand) in cases.items():
-        a, b = RunMetrics(), RunMetrics()
-        gen(a)
-        hand(b)
-        rows.append((name, a.edges_processed, b.edges_processed, round(edge_work_ratio(a, b), 6), a.vertex_bytes, a.edge_bytes))
-    return spark.createDataFrame(rows, "program string, generated_edges long, hand_edges long, ratio double, vertex_bytes long, edge_bytes long")
-
-
-_add("edge_work_generated_vs_hand", _generated_vs_hand)
+_add("edge_work_wsp", _wsp_work, _WSP_WORK)
 
 # -- programs only -------------------------------------------------------------------------------------------------
 
@@ -259,41 +217,31 @@ def _fusion_traces(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for name, spec in SPECS.items():
         done, trace = fuse(spec)
-        rows.append((name, trace.n_before, trace.n_after, len(done.lets), ", ".join(dict.fromkeys(trace.fired))))
-    return spark.createDataFrame(rows, "use_case string, reductions long, loops long, rounds long, rules string")
+        rows.append((name, trace.n_before, trace.n_after, len(done.lets)))
+    return spark.createDataFrame(rows, "use_case string, reductions long, loops long, rounds long")
 
 
 def _analysis_time(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fusion and the synthesis that runs the program, each from nothing; kernels tried."""
     rows = []
     for name, spec in SPECS.items():
         done, trace = fuse(spec)
-        synthesize.cache_clear()
-        found = [synthesize(r, f, x.source is not None) for t in done.lets for loop in t.loops for x in loop for r, f in x.keys if f in ("length", "weight", "capacity", "head", "penult", "one")]
-        rows.append((name, trace.n_before, round(trace.ms, 3), round(sum(x.ms for x in found), 3)))
-    return spark.createDataFrame(rows, "use_case string, reductions long, fusion_ms double, synthesis_ms double")
+        forget()
+        found = [derive(x.keys, x.source is not None) for t in done.lets for loop in t.loops for x in loop]
+        rows.append((name, trace.n_before, round(trace.ms, 3), round(sum(x.ms for x in found), 3), sum(x.tried for x in found)))
+    return spark.createDataFrame(rows, "use_case string, reductions long, fusion_ms double, synthesis_ms double, tried long")
 
 
-def _synthesis_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = []
-    for r, f in (("min", "length"), ("min", "weight"), ("max", "capacity"), ("min", "capacity"), ("min", "head"), ("min", "penult"), ("sum", "one"), ("or", "true"), ("sum", "length")):
-        got = synthesize(r, f)
-        rows.append((r, f, got.init, repr(got.prop), find_rollback(r), got.tried, got.checked))
-    return spark.createDataFrame(rows, "reduce string, path_function string, init string, propagate string, rollback string, tried long, checked string")
-
-
-def _condition_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pairs = [("min", "length"), ("min", "weight"), ("max", "capacity"), ("min", "capacity"), ("min", "head"), ("or", "true"), ("max", "length"), ("max", "weight"), ("sum", "one"), ("sum", "length"), ("sum", "weight"), ("and", "heavy")]
-    names = ("distributes", "extends", "identity", "commutative", "associative", "idempotent", "edge_absorb", "finite_range")
-    return spark.createDataFrame([(r, f, *[conditions(r, f)[n] for n in names]) for r, f in pairs], "reduce string, path_function string, " + ", ".join(f"{n} boolean" for n in names))
-
-
-_add("fusion_traces", _fusion_traces)
+_add("fusion_traces", _fusion_traces, surface.values("use_case, reductions, loops, rounds", *[(n, before, loops, rounds) for n, (before, loops, rounds) in surface.WANT_TRACES.items()]))
 _add("analysis_time", _analysis_time)
-_add("synthesis_table", _synthesis_table)
-_add("condition_matrix", _condition_matrix)
-_add("knn_vectors", lambda spark, d: G.vec_knn(spark, d).edges.select("src", "dst", "weight"))
+_KNN = """WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda x: ((x[1] - x[2]) * (x[1] - x[2]))::DOUBLE)) AS d
+ FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id)
+ SELECT src, dst, round(d * 1000)::BIGINT AS weight FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY d, dst) AS r FROM p) WHERE r <= 3"""
+_add("knn_vectors", lambda spark, d: G.vec_knn(spark, d).edges.select("src", "dst", "weight"), _KNN)
 
 # -- graph preparation and relational operators --------------------------------------------------------------------
 
 for _n, (_run, _sql) in relational.QUERIES.items():
     _add(_n, _run, _sql)
+
+surface.register_all(_add, ORACLES)

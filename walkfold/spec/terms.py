@@ -10,7 +10,7 @@ from typing import Any
 
 REDUCTIONS = ("min", "max", "or", "and", "sum", "union", "intersect")
 PATH_FUNCTIONS = ("length", "weight", "capacity", "head", "penult", "one", "true", "heavy")
-OPERATIONS = ("min", "max", "and", "or", "+", "-", "*", "/", "=", "<", ">", ">=", "<=")
+OPERATIONS = ("min", "max", "and", "or", "+", "-", "*", "/", "=", "<", ">", ">=", "<=", "union", "intersect")
 
 
 @dataclass(frozen=True)

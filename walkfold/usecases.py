@@ -160,6 +160,12 @@ def distant_set(graph, source: int, bound: int = 7, op: str = ">", **how) -> Dat
     return solve(graph, spec_distant(source, bound, op), **how)
 
 
+def distant_members(graph, source: int, bound: int = 7, op: str = ">", by: str = "weight", **how) -> DataFrame:
+    """The same set as rows (id): the comparison is a map over vertices, and nothing is gathered."""
+    far = solve(graph, BinOp(op, spec_reduce("min", by, source), Lit(bound)), **how)
+    return far.where("value").select("id")
+
+
 def radius_trust_floor(graph, source: int, sources, distance: str = "length", **how) -> DataFrame:
     return solve(graph, spec_rds(source, tuple(sources), distance), **how)
 
