@@ -1,8 +1,8 @@
 """Benchmark decontamination by a positional inverted index, with DataFrame operations only.
 
 1. The index is stored once in the shared folder: the postings (term, text, position) of all tokens of all training texts.
-   It is dealt by text as the input is and sorted by term inside each part, so building it shuffles nothing, a term's
-   postings lie side by side there, and any benchmark can be looked up in it.
+   It is dealt by text as the input is, so building it shuffles nothing, and any benchmark can be looked up in it: a look-up
+   is a hash join of the postings with its terms.
 2. Frequencies of the benchmark's terms come from the index. Windows with a term that no training text has cannot occur.
 3. Every other window of ``window`` consecutive item words is looked up from its rarest terms: the position lists of the
    two rarest are adjusted by the terms' offsets in the item and intersected, which leaves few diagonals (a text, an item,
@@ -56,9 +56,9 @@ TEXT = ("doc_id", "_text")
 
 
 def positional_index(docs: DataFrame) -> DataFrame:
-    """h (term hash), doc_id, _text, pos: one row for each token, sorted by term in each part."""
+    """h (term hash), doc_id, _text, pos: one row for each token."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("_text"), F.posexplode(words(F.col("text"))).alias("pos", "term"))
-    return rows.select(F.xxhash64("term").alias("h"), "doc_id", "_text", (F.col("pos") + 1).alias("pos")).sortWithinPartitions("h", "_text", "pos")
+    return rows.select(F.xxhash64("term").alias("h"), "doc_id", "_text", (F.col("pos") + 1).alias("pos"))
 
 
 def term_frequencies(index: DataFrame, terms: DataFrame) -> DataFrame:
