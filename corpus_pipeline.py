@@ -12,27 +12,31 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier rejects go."""
+    """Documents that the classifier rejects go. Null and empty texts are scored like any other; repeated rows share their fate; all
+    columns are carried, whatever they are called; an empty table stays empty."""
     return quality.keep_good(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of documents that share 0.8 of their five-word shingles, the first one stays."""
+    """Of each group of documents that share 0.8 of their five-word shingles, the first one stays: by doc_id, null ids last, ties by text hash.
+    Texts without words link with nothing and all stay; rows repeated whole stay once; all columns are carried."""
     return jaccard_join.keep_one(docs, k=5, percent=80)
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a window of a benchmark item go."""
+    """Documents with a window of a benchmark item go. Null texts have no words and stay; an empty benchmark removes nothing; all columns
+    are carried, whatever they are called."""
     return decontaminate.drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Secrets are replaced in place; the documents stay."""
+    """Secrets are replaced in place; the documents stay. Null texts stay null; a null source is an empty path; repeated rows are treated alike."""
     return secrets.redact(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents that the mix takes, one row for each time: epoch counts from 0, words says how many of its words are taken then."""
+    """The documents that the mix takes, one row for each time: epoch counts from 0, words says how many of its words are taken then.
+    Documents without words are never taken; null sources are one source; documents with one id share what is left at the cut."""
     taken = mixing.mix(docs).where("taken > 0")
     epochs = F.sequence(F.lit(0), F.ceil(F.col("taken") / F.col("size")).cast("int") - 1)
     rows = taken.withColumn("epoch", F.explode(epochs))
