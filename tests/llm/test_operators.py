@@ -519,3 +519,21 @@ def test_quality_odd_rows(spark, odd, empty):
     assert {r.score for r in quality.score_documents(odd, labels.where("false")).collect()} == {0.5}
     assert quality.keep_good(odd, labels).columns == odd.columns
     assert quality.score_documents(empty, labels).count() == 0
+
+
+def test_quality_learns_from_every_labelled_row(spark, monkeypatch):
+    """Blocks hold each labelled row of the training fold once (copies of the rare class apart) with both classes; there is no most."""
+    from walkfold.llm import quality
+
+    n = 7000
+    docs = spark.range(n).selectExpr("id AS doc_id", "concat('word ', id, repeat(' 0', CAST(id % 7 AS INT))) AS text")
+    labels = spark.range(n).selectExpr("id AS doc_id", "CAST(id % 50 = 0 AS INT) AS quality")
+    seen = []
+    made = quality._blocks
+    monkeypatch.setattr(quality, "_blocks", lambda *a: seen.append(made(*a)) or seen[-1])
+    quality.train(docs, labels, skip_held_out=False)
+    own, both = 0, 0
+    for r in seen[0].collect():
+        y = np.frombuffer(r.y, np.int8)
+        own, both = own + int(np.frombuffer(r.own, bool).sum()), both + (len(set(y.tolist())) == 2)
+    assert own == n and both == seen[0].count() > 10
